@@ -8,6 +8,9 @@ from pyspark.sql import functions as F
 from blockmf.llm.common import table
 from blockmf.llm.exact_dedup import exact_groups
 from blockmf.llm.html_text import extract_pages
+from blockmf.llm.packing import pack
+from blockmf.llm.token_files import encode_to_files
+from blockmf.llm.tokenize import vocabulary
 from blockmf.llm.url_filter import RULES, judge
 
 
@@ -23,7 +26,15 @@ def op6_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
 
 
-QUERIES = {"op1_exact_dedup": op1_exact_dedup, "op5_html_text": op5_html_text, "op6_url_filter": op6_url_filter}
+def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return encode_to_files(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("byte_bpe_50k.json"))
+
+
+def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pack(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("word_bpe_49k.json"))
+
+
+QUERIES = {f.__name__: f for f in (op1_exact_dedup, op5_html_text, op6_url_filter, op9_token_files, op10_packing)}
 
 _NORM = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 ORACLE_SQL = {
