@@ -9,6 +9,7 @@ from blockmf.llm.common import table
 from blockmf.llm.exact_dedup import exact_groups
 from blockmf.llm.html_text import extract_pages
 from blockmf.llm.packing import pack
+from blockmf.llm.suffix_dedup import repeated_bytes
 from blockmf.llm.token_files import encode_to_files
 from blockmf.llm.tokenize import vocabulary
 from blockmf.llm.url_filter import RULES, judge
@@ -26,6 +27,11 @@ def op6_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judge(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
 
 
+def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = repeated_bytes(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return found.drop("removed")
+
+
 def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_to_files(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("byte_bpe_50k.json"))
 
@@ -34,7 +40,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("word_bpe_49k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op1_exact_dedup, op5_html_text, op6_url_filter, op9_token_files, op10_packing)}
+QUERIES = {f.__name__: f for f in (op1_exact_dedup, op5_html_text, op6_url_filter, op7_suffix_dedup, op9_token_files, op10_packing)}
 
 _NORM = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 ORACLE_SQL = {
