@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from blockmf.llm.common import table
 from blockmf.llm.exact_dedup import exact_groups
 from blockmf.llm.html_text import extract_pages
+from blockmf.llm.near_dedup import near_classes
 from blockmf.llm.packing import pack
 from blockmf.llm.suffix_dedup import repeated_bytes
 from blockmf.llm.token_files import encode_to_files
@@ -32,6 +33,10 @@ def op7_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return found.drop("removed")
 
 
+def op8_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_classes(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op9_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return encode_to_files(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("byte_bpe_50k.json"))
 
@@ -40,7 +45,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("word_bpe_49k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op1_exact_dedup, op5_html_text, op6_url_filter, op7_suffix_dedup, op9_token_files, op10_packing)}
+QUERIES = {f.__name__: f for f in (op1_exact_dedup, op5_html_text, op6_url_filter, op7_suffix_dedup, op8_near_dedup, op9_token_files, op10_packing)}
 
 _NORM = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 ORACLE_SQL = {
