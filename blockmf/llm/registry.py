@@ -6,10 +6,12 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockmf.llm.common import table
+from blockmf.llm.decontaminate import contamination
 from blockmf.llm.exact_dedup import exact_groups
 from blockmf.llm.html_text import extract_pages
 from blockmf.llm.near_dedup import near_classes
 from blockmf.llm.packing import pack
+from blockmf.llm.quality import held_out, scored, train
 from blockmf.llm.suffix_dedup import repeated_bytes
 from blockmf.llm.token_files import encode_to_files
 from blockmf.llm.tokenize import vocabulary
@@ -20,6 +22,17 @@ def op1_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_groups(table(spark, sf_dir, "documents").select("doc_id", "text"), stays="max")
 
 
+def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return contamination(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
+
+
+def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    model = train(docs, table(spark, sf_dir, "labels"), cut=0.7)
+    found = scored(docs, model).select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "score")
+    return found.withColumn("predicted", (F.col("score") >= 0.7).cast("int"))
+
+
 def op5_html_text(spark: SparkSession, sf_dir: str) -> DataFrame:
     return extract_pages(table(spark, sf_dir, "pages").select("page_id", "html"))
 
@@ -45,7 +58,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("word_bpe_49k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op1_exact_dedup, op5_html_text, op6_url_filter, op7_suffix_dedup, op8_near_dedup, op9_token_files, op10_packing)}
+QUERIES = {f.__name__: f for f in (op1_exact_dedup, op2_decontaminate, op4_quality, op5_html_text, op6_url_filter, op7_suffix_dedup, op8_near_dedup, op9_token_files, op10_packing)}
 
 _NORM = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 ORACLE_SQL = {
