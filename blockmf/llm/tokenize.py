@@ -13,7 +13,9 @@ The vocabularies' special strings are ordinary text. The memory for kept pieces
 
 from __future__ import annotations
 
+import os
 import re
+from array import array
 from functools import lru_cache
 
 import numpy as np
@@ -25,13 +27,15 @@ _STOPS = (",", ".")
 
 
 class PieceTokenizer:
-    def __init__(self, path: str, keep: int = 250_000):
+    def __init__(self, path: str, keep: int = 600_000):
+        os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks are the parallelism
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
         self.tok.encode_special_tokens = True
         self.words = self.tok.normalizer is not None  # the word vocabulary normalises and drops white space
         self.dtype = np.dtype("<u2") if self.tok.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
+        self.code = {2: "H", 4: "I"}[self.dtype.itemsize]
         self.keep, self.lead = keep, "" if self.words else " "
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
@@ -40,25 +44,29 @@ class PieceTokenizer:
     def _ids(self, text: str) -> bytes:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
 
-    def _piece(self, p: str) -> bytes:
-        got = self.young.get(p) or self.old.get(p)
-        if got is None:
-            if p.endswith(_STOPS) and p[-2:-1].isalpha():
-                got = self._piece(p[:-1]) + self.stops[p[-1]]
-            else:
-                got = self._ids(self.lead + p)
-        self.young[p] = got
-        return got
+    def _learn(self, pieces: set[str]) -> None:
+        """Ids of new pieces: from the older generation, from a shorter piece and a stop, or from the library, all in one call."""
+        parted = {p: p[:-1] for p in pieces if p.endswith(_STOPS) and p[-2:-1].isalpha()}
+        need = []
+        for p in {parted.get(p, p) for p in pieces}:
+            if p not in self.young:
+                if (got := self.old.get(p)) is None:
+                    need.append(p)
+                else:
+                    self.young[p] = got
+        for p, e in zip(need, self.tok.encode_batch_fast([self.lead + p for p in need], add_special_tokens=False), strict=True):
+            self.young[p] = array(self.code, e.ids).tobytes()
+        for p, base in parted.items():
+            self.young[p] = self.young[base] + self.stops[p[-1]]
 
     def _join(self, pieces: list[str]) -> bytes:
         out = []
         for i in range(0, len(pieces), 20_000):  # a very long text must not outgrow what is kept
             part = pieces[i : i + 20_000]
             if new := set(part).difference(self.young):
-                if len(self.young) + len(new) > self.keep:
+                if len(self.young) + 2 * len(new) > self.keep:
                     self.old, self.young, new = self.young, {}, set(part)
-                for p in new:
-                    self._piece(p)
+                self._learn(new)
             out += map(self.young.__getitem__, part)
         return b"".join(out)
 
