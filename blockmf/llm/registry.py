@@ -12,6 +12,7 @@ from blockmf.llm.html_text import extract_pages
 from blockmf.llm.near_dedup import near_classes
 from blockmf.llm.packing import pack
 from blockmf.llm.quality import held_out, scored, train
+from blockmf.llm.secrets import find_secrets
 from blockmf.llm.suffix_dedup import repeated_bytes
 from blockmf.llm.token_files import encode_to_files
 from blockmf.llm.tokenize import vocabulary
@@ -26,6 +27,10 @@ def op2_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return contamination(table(spark, sf_dir, "documents").select("doc_id", "text"), table(spark, sf_dir, "benchmark"))
 
 
+def op3_secrets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return find_secrets(table(spark, sf_dir, "documents").select("doc_id", "text"))
+
+
 def op4_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     model = train(docs, table(spark, sf_dir, "labels"), cut=0.7)
@@ -58,7 +63,7 @@ def op10_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack(table(spark, sf_dir, "documents").select("doc_id", "text"), vocabulary("word_bpe_49k.json"))
 
 
-QUERIES = {f.__name__: f for f in (op1_exact_dedup, op2_decontaminate, op4_quality, op5_html_text, op6_url_filter, op7_suffix_dedup, op8_near_dedup, op9_token_files, op10_packing)}
+QUERIES = {f.__name__: f for f in (op1_exact_dedup, op2_decontaminate, op3_secrets, op4_quality, op5_html_text, op6_url_filter, op7_suffix_dedup, op8_near_dedup, op9_token_files, op10_packing)}
 
 _NORM = "translate(coalesce(text, ''), 'ABCDEFGHIJKLMNOPQRSTUVWXYZ', 'abcdefghijklmnopqrstuvwxyz')"
 ORACLE_SQL = {
