@@ -20,10 +20,13 @@ from functools import lru_cache
 
 import numpy as np
 
-_ODD_SPACE = re.compile(r"\s ")
-_ODD_CONTROL = re.compile("[\x1c-\x1f\x85\u180e\u200b\u2060\ufeff]")
+_ODD_SPACE = tuple(chr(c) + " " for c in range(0x3001) if chr(c).isspace())
+_ODD_CONTROL = tuple("\x1c\x1d\x1e\x1f\x85\u180e\u200b\u2060\ufeff")
 _PLAIN = re.compile("[\x00-\u012f\u0131-\u017f]*")  # here Python's lower() is the library's
 _STOPS = (",", ".")
+#: Byte-level vocabularies write each byte as a visible character: printable Latin-1 as itself, all others from U+0100 on, in order.
+_HIDDEN = [b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or b >= 174)]
+_VISIBLE = {b: 256 + i for i, b in enumerate(_HIDDEN)}
 
 
 class PieceTokenizer:
@@ -37,6 +40,7 @@ class PieceTokenizer:
         self.dtype = np.dtype("<u2") if self.tok.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
         self.code = {2: "H", 4: "I"}[self.dtype.itemsize]
         self.keep, self.lead = keep, "" if self.words else " "
+        self.mapped_lead = self.lead.translate(_VISIBLE)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
         self.stops = {s: self._ids(s) for s in _STOPS}
@@ -45,15 +49,17 @@ class PieceTokenizer:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
 
     def _learn(self, pieces: set[str]) -> None:
-        """Ids of new pieces: from the older generation, from a shorter piece and a stop, or from the library, all in one call."""
+        """Ids of new pieces: from the older generation, from a shorter piece and a stop, or from the library."""
         parted = {p: p[:-1] for p in pieces if p.endswith(_STOPS) and p[-2:-1].isalpha()}
-        need = []
+        need, model, lead = [], self.tok.model.tokenize, self.mapped_lead
         for p in {parted.get(p, p) for p in pieces}:
             if p not in self.young:
-                if (got := self.old.get(p)) is None:
-                    need.append(p)
-                else:
+                if (got := self.old.get(p)) is not None:
                     self.young[p] = got
+                elif p.isalpha() and (not self.words or _PLAIN.fullmatch(p) and p == p.lower()):  # one word for certain: the model alone
+                    self.young[p] = array(self.code, [x.id for x in model(lead + p.encode().decode("latin-1").translate(_VISIBLE))]).tobytes()
+                else:
+                    need.append(p)
         for p, e in zip(need, self.tok.encode_batch_fast([self.lead + p for p in need], add_special_tokens=False), strict=True):
             self.young[p] = array(self.code, e.ids).tobytes()
         for p, base in parted.items():
@@ -63,11 +69,16 @@ class PieceTokenizer:
         out = []
         for i in range(0, len(pieces), 20_000):  # a very long text must not outgrow what is kept
             part = pieces[i : i + 20_000]
-            if new := set(part).difference(self.young):
+            got = list(map(self.young.get, part))
+            if None in got:
+                gaps = [k for k, g in enumerate(got) if g is None]
+                new = {part[k] for k in gaps}
                 if len(self.young) + 2 * len(new) > self.keep:
-                    self.old, self.young, new = self.young, {}, set(part)
+                    self.old, self.young = self.young, {}
                 self._learn(new)
-            out += map(self.young.__getitem__, part)
+                for k in gaps:
+                    got[k] = self.young[part[k]]
+            out += got
         return b"".join(out)
 
     def encode(self, text: str) -> bytes:
@@ -75,10 +86,10 @@ class PieceTokenizer:
         if not text:
             return b""
         if self.words:
-            if _ODD_CONTROL.search(text):
+            if any(c in text for c in _ODD_CONTROL):
                 return self._ids(text)
-            return self._join((text.lower() if _PLAIN.fullmatch(text) else text).split())
-        if _ODD_SPACE.search(text):
+            return self._join((text.lower() if text.isascii() or _PLAIN.fullmatch(text) else text).split())
+        if any(c in text for c in _ODD_SPACE):
             return self._ids(text)
         start, *pieces = text.split(" ")
         return self._ids(start) + self._join(pieces)
