@@ -82,7 +82,7 @@ def plan(ratings: DataFrame, algo: str = "hybrid_full", n: int = 3, w: int = 1,
         rows, cols = g.uniform_grid(ratings, r, c, by)
         assigned = g.assign_blocks(ratings, rows, cols).withColumn("row_key", F.col("bi"))
         groups: tuple = ()
-        policy = Policy({"strata": "strata", "deque": "deque"}.get(algo, "greedy"), tie=tie, seed=seed)
+        policy = Policy({"strata": "strata", "deque": "deque"}.get(algo, "greedy"), tie=tie, seed=seed or 0)
         alpha = None
     else:
         steals = algo in ("hybrid_full", "history")
@@ -93,7 +93,7 @@ def plan(ratings: DataFrame, algo: str = "hybrid_full", n: int = 3, w: int = 1,
         assigned = g.assign_region_blocks(ratings, shape, rows, cols)
         n_wide = sum(s.region == "wide" for s in rows)
         groups = tuple(tuple(range(i, i + shape.sub)) for i in range(0, n_wide, shape.sub))
-        policy = Policy("static+steal" if steals else "static", steal=steal, tie=tie, seed=seed, lookahead=lookahead)
+        policy = Policy("static+steal" if steals else "static", steal=steal, tie=tie, seed=seed or 0, lookahead=lookahead)
         if not n_wide or n_wide == len(rows):  # one region only
             policy, groups = replace(policy, name="greedy"), ()
     nnz = block_counts(assigned)
