@@ -25,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from blockmf.llm.common import cut, text_or_empty
@@ -40,13 +40,16 @@ def _pieces(vocab: str, end_id: int, capacity: int):
         seen: dict[int, int] = defaultdict(int)
         for b in batches:
             out = defaultdict(list)
-            for doc, text in zip(b.column(0).to_pylist(), b.column(1), strict=True):
-                ids = np.append(np.frombuffer(tok.encode(text.as_py()), tok.dtype).astype("<u4"), np.uint32(end_id))
-                for k, at in enumerate(range(0, len(ids), capacity)):
-                    x = ids[at : at + capacity]
-                    for name, v in (("doc_id", doc), ("piece", k), ("start", at), ("length", len(x)), ("ids_crc32", zlib.crc32(x)), ("part", part), ("nth", seen[len(x)])):
-                        out[name].append(v)
-                    seen[len(x)] += 1
+            named = iter(b.column(0).to_pylist())
+            for tokens, stops in tok.encode_many(b.column(1), end_id):
+                tokens = tokens.astype("<u4")
+                for lo, hi in zip([0, *stops[:-1].tolist()], stops.tolist(), strict=True):
+                    doc = next(named)
+                    for k, at in enumerate(range(lo, hi, capacity)):
+                        x = tokens[at : min(at + capacity, hi)]
+                        for name, v in (("doc_id", doc), ("piece", k), ("start", at - lo), ("length", len(x)), ("ids_crc32", zlib.crc32(x)), ("part", part), ("nth", seen[len(x)])):
+                            out[name].append(v)
+                        seen[len(x)] += 1
             yield pa.RecordBatch.from_pydict(dict(out), schema=_PIECE) if out else pa.RecordBatch.from_pylist([], schema=_PIECE)
 
     return make
@@ -193,8 +196,6 @@ def pack(docs: DataFrame, vocab: str, capacity: int = 2048, end_id: int = 0, gro
     # prefix sums of the counts: parts in blocks, so that one common length does not meet in one task
     block = F.floor(F.sqrt(F.col("part"))).cast("int")
     by_block = counts.groupBy("length", block.alias("block")).agg(F.sum("n").alias("n"))
-    from pyspark.sql import Window
-
     blocks = by_block.select("length", "block", (F.sum("n").over(Window.partitionBy("length").orderBy("block")) - F.col("n")).alias("before"))
     inner = counts.withColumn("block", block)
     inner = inner.withColumn("inside", F.sum("n").over(Window.partitionBy("length", "block").orderBy("part")) - F.col("n"))

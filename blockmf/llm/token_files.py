@@ -48,18 +48,16 @@ def _writer(folder: str, vocab: str, end_id: int):
         fs, root = file_system(folder)
         part = TaskContext.get().partitionId()
         name = f"part-{part:06d}-{uuid.uuid4().hex}"
-        end = np.array([end_id], tok.dtype).tobytes()
         ids, ends, at, data = [], [], 0, None
         for b in batches:
             if data is None and b.num_rows:
                 fs.create_dir(root, recursive=True)
                 data = fs.open_output_stream(f"{root}/{name}.ids")
             ids += [NULL_ID if x is None else x for x in b.column(0).to_pylist()]
-            for text in b.column(1):
-                got = tok.encode(text.as_py()) + end
-                data.write(got)
-                at += len(got) // tok.dtype.itemsize
-                ends.append(at)
+            for tokens, stops in tok.encode_many(b.column(1), end_id):
+                data.write(tokens.tobytes())
+                ends += (stops + at).tolist()
+                at += len(tokens)
         if data is not None:
             data.close()
             with fs.open_output_stream(f"{root}/{name}.idx") as out:

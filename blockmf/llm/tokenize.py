@@ -6,7 +6,7 @@ ids of the text are their concatenation.
   text is cut before such spaces. Texts where a space follows white space go to the library as a whole.
 * word BPE (white space dropped, lower case): tokens never hold white space, so the text is cut at it. Texts with the
   control characters about which Python and the library differ in what white space is go to the library as a whole.
-Both patterns part a letter from a comma or stop after it, so pieces that end in one are made of two.
+Both patterns part a letter from a comma or stop after it, so only what is before it is kept.
 The vocabularies' special strings are ordinary text. The memory for kept pieces is bounded: two generations of
 `keep` pieces each, of which the older one goes when the younger one is full.
 """
@@ -19,6 +19,8 @@ from array import array
 from functools import lru_cache
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 _ODD_SPACE = tuple(chr(c) + " " for c in range(0x3001) if chr(c).isspace())
 _ODD_CONTROL = tuple("\x1c\x1d\x1e\x1f\x85\u180e\u200b\u2060\ufeff")
@@ -30,7 +32,7 @@ _VISIBLE = {b: 256 + i for i, b in enumerate(_HIDDEN)}
 
 
 class PieceTokenizer:
-    def __init__(self, path: str, keep: int = 600_000):
+    def __init__(self, path: str, keep: int = 400_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks are the parallelism
         from tokenizers import Tokenizer
 
@@ -49,36 +51,37 @@ class PieceTokenizer:
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, self.dtype).tobytes()
 
     def _learn(self, pieces: set[str]) -> None:
-        """Ids of new pieces: from the older generation, from a shorter piece and a stop, or from the library."""
-        parted = {p: p[:-1] for p in pieces if p.endswith(_STOPS) and p[-2:-1].isalpha()}
-        need, model, lead = [], self.tok.model.tokenize, self.mapped_lead
-        for p in {parted.get(p, p) for p in pieces}:
-            if p not in self.young:
-                if (got := self.old.get(p)) is not None:
-                    self.young[p] = got
-                elif p.isalpha() and (not self.words or _PLAIN.fullmatch(p) and p == p.lower()):  # one word for certain: the model alone
-                    self.young[p] = array(self.code, [x.id for x in model(lead + p.encode().decode("latin-1").translate(_VISIBLE))]).tobytes()
-                else:
-                    need.append(p)
+        """Ids of new pieces: from the older generation, from the model alone if a piece is one word for certain, or from the library."""
+        if len(self.young) + len(pieces) > self.keep:
+            self.old, self.young = self.young, {}
+        young, old, model, lead, code, words = self.young, self.old, self.tok.model.tokenize, self.mapped_lead, self.code, self.words
+        need = []
+        for p in pieces:
+            if (got := old.get(p)) is not None:
+                young[p] = got
+            elif p.isalpha() and (p.isascii() and (not words or p.islower()) or not words or _PLAIN.fullmatch(p) and p == p.lower()):
+                q = p if p.isascii() else p.encode().decode("latin-1").translate(_VISIBLE)
+                young[p] = array(code, [x.id for x in model(lead + q)]).tobytes()
+            else:
+                need.append(p)
         for p, e in zip(need, self.tok.encode_batch_fast([self.lead + p for p in need], add_special_tokens=False), strict=True):
-            self.young[p] = array(self.code, e.ids).tobytes()
-        for p, base in parted.items():
-            self.young[p] = self.young[base] + self.stops[p[-1]]
+            young[p] = array(code, e.ids).tobytes()
+
+    def _find(self, kinds: list[str]) -> list[bytes]:
+        """Ids of distinct pieces. A comma or stop after a letter is a token of its own, so only what is before it is kept."""
+        base = [p[:-1] if p.endswith(_STOPS) and p[-2:-1].isalpha() else p for p in kinds]
+        found = list(map(self.young.get, base))
+        if None in found:
+            self._learn({b for b, g in zip(base, found, strict=True) if g is None})
+            young = self.young
+            found = [young[b] if g is None else g for b, g in zip(base, found, strict=True)]
+        return [g + self.stops[p[-1]] if len(p) != len(b) else g for p, b, g in zip(kinds, base, found, strict=True)]
 
     def _join(self, pieces: list[str]) -> bytes:
         out = []
         for i in range(0, len(pieces), 20_000):  # a very long text must not outgrow what is kept
-            part = pieces[i : i + 20_000]
-            got = list(map(self.young.get, part))
-            if None in got:
-                gaps = [k for k, g in enumerate(got) if g is None]
-                new = {part[k] for k in gaps}
-                if len(self.young) + 2 * len(new) > self.keep:
-                    self.old, self.young = self.young, {}
-                self._learn(new)
-                for k in gaps:
-                    got[k] = self.young[part[k]]
-            out += got
+            kinds = list(dict.fromkeys(part := pieces[i : i + 20_000]))
+            out += map(dict(zip(kinds, self._find(kinds), strict=True)).__getitem__, part)
         return b"".join(out)
 
     def encode(self, text: str) -> bytes:
@@ -95,6 +98,72 @@ class PieceTokenizer:
         return self._ids(start) + self._join(pieces)
 
 
+    def _odd_documents(self, data: np.ndarray, ends: np.ndarray) -> np.ndarray:
+        """Numbers of documents that encode() would not cut, or whose lower case needs care. A few too many do no harm."""
+        if self.words:
+            odd = (data >= 0xC6) | ((data >= 28) & (data <= 31))
+            pair = (data[:-1] == 0xC2) & (data[1:] == 0x85) | (data[:-1] == 0xC4) & (data[1:] == 0xB0)
+            at = np.concatenate([np.flatnonzero(odd), np.flatnonzero(pair)])
+        else:
+            at = np.flatnonzero(data == 32)
+            p1, p2, p3 = (data[np.maximum(at - k, 0)] for k in (1, 2, 3))
+            white = (p1 <= 32) & ((p1 >= 28) | (p1 >= 9) & (p1 <= 13)) | (p2 == 0xC2) & ((p1 == 0x85) | (p1 == 0xA0))
+            white |= ((p3 == 0xE2) & ((p2 == 0x80) | (p2 == 0x81)) | (p3 == 0xE1) | (p3 == 0xE3)) & (p1 >= 0x80)
+            at = at[white & (at > 0)]
+        return np.unique(np.searchsorted(ends, at, "right"))
+
+    def encode_many(self, texts: pa.Array, end_id: int, size: int = 8 << 20):
+        """Yields (token ids, end of each document in them) for runs of documents in order, the end id after each. Same ids as encode():
+        the pieces of a run are made and numbered by Arrow, and only distinct ones are looked up."""
+        texts = texts.cast(pa.large_string())
+        off = np.frombuffer(texts.buffers()[1], np.int64, len(texts) + 1, texts.offset * 8)
+        i = 0
+        while i < len(texts):
+            j = max(i + 1, int(np.searchsorted(off, off[i] + size, "right")) - 1)
+            raw = texts.buffers()[2]
+            data = np.frombuffer(raw, np.uint8)[off[i] : off[j]] if raw is not None and raw.size else np.zeros(0, np.uint8)
+            run, ends = texts.slice(i, j - i), off[i + 1 : j + 1] - off[i]
+            odd = self._odd_documents(data, ends) if len(data) else np.zeros(0, np.int64)
+            if len(odd) or ends[-1] > 8 * size:
+                odd = np.union1d(odd, np.flatnonzero(np.diff(ends, prepend=0) > 8 * size))
+                even = np.setdiff1d(np.arange(len(run)), odd)
+                parts: list = [None] * len(run)
+                if len(even):
+                    ids, at = self._encode_run(run.take(pa.array(even)), end_id)
+                    for k, x in zip(even, np.split(ids, at[:-1]), strict=True):
+                        parts[k] = x
+                for k in odd:
+                    parts[k] = np.append(np.frombuffer(self.encode(run[int(k)].as_py()), self.dtype), self.dtype.type(end_id))
+                yield np.concatenate(parts), np.cumsum([len(x) for x in parts])
+            else:
+                yield self._encode_run(run, end_id)
+            i = j
+
+    def _encode_run(self, run: pa.Array, end_id: int) -> tuple[np.ndarray, np.ndarray]:
+        lists = pc.utf8_split_whitespace(pc.utf8_lower(run)) if self.words else pc.split_pattern(run, " ")
+        counts = np.diff(np.frombuffer(lists.buffers()[1], np.int64 if pa.types.is_large_list(lists.type) else np.int32, len(run) + 1, lists.offset * (8 if pa.types.is_large_list(lists.type) else 4)))
+        numbered = pc.dictionary_encode(lists.flatten())
+        numbered = numbered.combine_chunks() if isinstance(numbered, pa.ChunkedArray) else numbered
+        kinds = numbered.dictionary.to_pylist()
+        found = self._find(kinds)
+        which = numbered.indices.to_numpy()
+        ends = np.cumsum(counts)
+        if not self.words:  # a text's first piece has no space before it
+            first = ends - counts
+            found += [self._ids(kinds[k]) for k in which[first].tolist()]
+            which = which.copy()
+            which[first] = np.arange(len(run)) + len(kinds)
+        found.append(np.array([end_id], self.dtype).tobytes())
+        order = np.full(len(which) + len(run), len(found) - 1, np.int64)
+        order[np.arange(len(which)) + np.repeat(np.arange(len(run)), counts)] = which
+        sizes = np.fromiter(map(len, found), np.int64, len(found)) // self.dtype.itemsize
+        values, at = np.frombuffer(b"".join(found), self.dtype), np.cumsum(sizes) - sizes
+        n = sizes[order]
+        out_end = np.cumsum(n)
+        take = np.arange(int(out_end[-1])) + np.repeat(at[order] - (out_end - n), n)
+        return values[take], out_end[ends + np.arange(len(run))]
+
+
 @lru_cache(maxsize=4)
 def piece_tokenizer(path: str) -> PieceTokenizer:
     return PieceTokenizer(path)
