@@ -32,7 +32,7 @@ _VISIBLE = {b: 256 + i for i, b in enumerate(_HIDDEN)}
 
 
 class PieceTokenizer:
-    def __init__(self, path: str, keep: int = 400_000):
+    def __init__(self, path: str, keep: int = 450_000):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks are the parallelism
         from tokenizers import Tokenizer
 
@@ -45,6 +45,7 @@ class PieceTokenizer:
         self.mapped_lead = self.lead.translate(_VISIBLE)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
+        self.starts: dict[str, bytes] = {}
         self.stops = {s: self._ids(s) for s in _STOPS}
 
     def _ids(self, text: str) -> bytes:
@@ -67,6 +68,15 @@ class PieceTokenizer:
         for p, e in zip(need, self.tok.encode_batch_fast([self.lead + p for p in need], add_special_tokens=False), strict=True):
             young[p] = array(code, e.ids).tobytes()
 
+    def _first(self, p: str) -> bytes:
+        """Ids of a piece that starts a text, so has no space before it."""
+        if (got := self.starts.get(p)) is None:
+            if len(self.starts) > self.keep // 8:
+                self.starts.clear()
+            got = array(self.code, [x.id for x in self.tok.model.tokenize(p)]).tobytes() if p.isascii() and p.isalpha() else self._ids(p)
+            self.starts[p] = got
+        return got
+
     def _find(self, kinds: list[str]) -> list[bytes]:
         """Ids of distinct pieces. A comma or stop after a letter is a token of its own, so only what is before it is kept."""
         base = [p[:-1] if p.endswith(_STOPS) and p[-2:-1].isalpha() else p for p in kinds]
@@ -95,7 +105,7 @@ class PieceTokenizer:
         if any(c in text for c in _ODD_SPACE):
             return self._ids(text)
         start, *pieces = text.split(" ")
-        return self._ids(start) + self._join(pieces)
+        return self._first(start) + self._join(pieces)
 
 
     def _odd_documents(self, data: np.ndarray, ends: np.ndarray) -> np.ndarray:
@@ -112,7 +122,7 @@ class PieceTokenizer:
             at = at[white & (at > 0)]
         return np.unique(np.searchsorted(ends, at, "right"))
 
-    def encode_many(self, texts: pa.Array, end_id: int, size: int = 8 << 20):
+    def encode_many(self, texts: pa.Array, end_id: int, size: int = 6 << 20):
         """Yields (token ids, end of each document in them) for runs of documents in order, the end id after each. Same ids as encode():
         the pieces of a run are made and numbered by Arrow, and only distinct ones are looked up."""
         texts = texts.cast(pa.large_string())
@@ -150,7 +160,7 @@ class PieceTokenizer:
         ends = np.cumsum(counts)
         if not self.words:  # a text's first piece has no space before it
             first = ends - counts
-            found += [self._ids(kinds[k]) for k in which[first].tolist()]
+            found += [self._first(kinds[k]) for k in which[first].tolist()]
             which = which.copy()
             which[first] = np.arange(len(run)) + len(kinds)
         found.append(np.array([end_id], self.dtype).tobytes())
@@ -160,7 +170,7 @@ class PieceTokenizer:
         values, at = np.frombuffer(b"".join(found), self.dtype), np.cumsum(sizes) - sizes
         n = sizes[order]
         out_end = np.cumsum(n)
-        take = np.arange(int(out_end[-1])) + np.repeat(at[order] - (out_end - n), n)
+        take = np.arange(int(out_end[-1]), dtype=np.int32) + np.repeat((at[order] - (out_end - n)).astype(np.int32), n)  # a run is far below 2^31 ids
         return values[take], out_end[ends + np.arange(len(run))]
 
 
