@@ -19,30 +19,45 @@ def _delta(p, q, err, params: MFParams):
     return dp, g * (e * seen - params.lam_q * q)
 
 
+def _dots(pu, qv):
+    """Inner products, summed from the first element on: the same bits for one pair and for many."""
+    total = pu[..., 0] * qv[..., 0]
+    for j in range(1, pu.shape[-1]):
+        total = total + pu[..., j] * qv[..., j]
+    return total
+
+
 def narrow_kernel(rows, cols, vals, p, q, params: MFParams) -> None:
     """Ratings one by one, in order."""
     for u, v, r in zip(rows.tolist(), cols.tolist(), vals.tolist(), strict=True):
         pu, qv = p[u], q[v]
-        err = r
-        for a, b in zip(pu.tolist(), qv.tolist(), strict=True) if len(pu) <= 8 else ():
-            err -= a * b
-        if len(pu) > 8:
-            err = r - float(pu @ qv)
-        dp, dq = _delta(pu, qv, err, params)
+        dp, dq = _delta(pu, qv, r - float(_dots(pu, qv)), params)
         p[u] = pu + dp
         q[v] = qv + dq
 
 
+def ordered_kernel(rows, cols, vals, p, q, params: MFParams) -> None:
+    """The narrow kernel, bit for bit, in steps of ratings that share no vector: what shares one keeps its order."""
+    for at in _parted(rows, cols):
+        u, v = rows[at], cols[at]
+        pu, qv = p[u], q[v]
+        dp, dq = _delta(pu, qv, vals[at] - _dots(pu, qv), params)
+        p[u], q[v] = pu + dp, qv + dq
+
+
 def _parted(rows, cols) -> list[np.ndarray]:
     """Positions of a batch in sub-batches without a shared row or column; each keeps the order of what shares one."""
-    level_u: dict[int, int] = {}
-    level_v: dict[int, int] = {}
-    levels: dict[int, list[int]] = {}
-    for i, (u, v) in enumerate(zip(rows.tolist(), cols.tolist(), strict=True)):
-        n = max(level_u.get(u, -1), level_v.get(v, -1)) + 1
-        level_u[u] = level_v[v] = n
-        levels.setdefault(n, []).append(i)
-    return [np.array(x) for _, x in sorted(levels.items())]
+    if not len(rows):
+        return []
+    level_u, level_v, level = [0] * (int(rows.max()) + 1), [0] * (int(cols.max()) + 1), []
+    for u, v in zip(rows.tolist(), cols.tolist(), strict=True):
+        a, b = level_u[u], level_v[v]
+        n = a if a > b else b
+        level_u[u] = level_v[v] = n + 1
+        level.append(n)
+    level = np.array(level)
+    order = np.argsort(level, kind="stable")
+    return np.split(order, np.flatnonzero(np.diff(level[order])) + 1)
 
 
 def wide_kernel(rows, cols, vals, p, q, params: MFParams) -> None:
@@ -56,7 +71,7 @@ def wide_kernel(rows, cols, vals, p, q, params: MFParams) -> None:
             at = part[i]
             u, v = rows[at], cols[at]
             pu, qv = p[u], q[v]
-            dp, dq = _delta(pu, qv, vals[at] - np.einsum("ij,ij->i", pu, qv), params)
+            dp, dq = _delta(pu, qv, vals[at] - _dots(pu, qv), params)
             if params.collide == "last":
                 p[u], q[v] = pu + dp, qv + dq
             elif params.collide == "split":
@@ -71,4 +86,4 @@ def wide_kernel(rows, cols, vals, p, q, params: MFParams) -> None:
 def run_block(kind: str, u, v, r, p_ids, p, q_ids, q, params: MFParams) -> None:
     """One visit: ids -> positions, then the lane's kernel. Ids of p and q are sorted."""
     rows, cols = np.searchsorted(p_ids, u), np.searchsorted(q_ids, v)
-    {"narrow": narrow_kernel, "wide": wide_kernel}[kind](rows, cols, r, p, q, params)
+    {"narrow": ordered_kernel, "wide": wide_kernel}[kind](rows, cols, r, p, q, params)
