@@ -39,7 +39,7 @@ U64 = np.uint64
 _ODD = U64(0x9E3779B97F4A7C15 | 1)
 _INV = U64(pow(int(_ODD), -1, 1 << 64))
 SLICE = 1 << 20
-_LUT = np.random.default_rng(20240901).integers(1, 1 << 63, 256, dtype=np.uint64)
+_LUT, _SECOND = np.random.default_rng(20240901).integers(1, 1 << 63, (2, 256), dtype=np.uint64)  # byte values of two independent hashes
 
 
 def mix(x: np.ndarray) -> np.ndarray:
@@ -56,14 +56,14 @@ class RangeHash:
     _pow: np.ndarray = np.ones(1, U64)
     _inv: np.ndarray = np.ones(1, U64)
 
-    def __init__(self, data: np.ndarray):
+    def __init__(self, data: np.ndarray, values: np.ndarray = _LUT):
         n = len(data)
         if len(RangeHash._pow) <= n:
             size = max(n + 1, SLICE + 4096)
             RangeHash._pow = np.concatenate([np.ones(1, U64), np.cumprod(np.full(size, _ODD))])
             RangeHash._inv = np.concatenate([np.ones(1, U64), np.cumprod(np.full(size, _INV))])
         self.sum = np.zeros(n + 1, U64)
-        np.cumsum(_LUT[data] * RangeHash._pow[:n], out=self.sum[1:])
+        np.cumsum(values[data] * RangeHash._pow[:n], out=self.sum[1:])
 
     def __call__(self, start: np.ndarray, end: np.ndarray) -> np.ndarray:
         return (self.sum[end] - self.sum[start]) * RangeHash._inv[start]
@@ -336,18 +336,14 @@ def _windows(length: int, grain: int, parts: int):
         np.add.at(flag, lo[ok], 1)
         np.add.at(flag, hi[ok] + 1, -1)
         where = np.flatnonzero(np.cumsum(flag[:-1]) > 0)
-        hashes = np.empty(len(where), U64)
+        main, extra = np.empty(len(where), U64), np.empty(len(where), np.uint32)
         for a, b, keep_a, keep_b in slices(ends, length):
             i, j = np.searchsorted(where, [keep_a, keep_b])
             if j > i:
-                h = RangeHash(data[a:b])
-                hashes[i:j] = h(where[i:j] - a, where[i:j] - a + length)
+                lo, hi = where[i:j] - a, where[i:j] - a + length
+                main[i:j] = mix(RangeHash(data[a:b])(lo, hi))
+                extra[i:j] = mix(RangeHash(data[a:b], _SECOND)(lo, hi)) >> U64(32)
         doc = np.searchsorted(ends, where, "right")
-        main, extra = mix(hashes), (mix(hashes ^ U64(0xA5A5A5A5A5A5A5A5)) >> U64(32)).astype(np.uint32)
-        first8 = np.zeros(len(where), U64)
-        for k in range(0, length, 13):  # a second, independent look at the bytes themselves
-            first8 = first8 * U64(0x100000001B3) ^ data[where + k]
-        extra ^= (mix(first8) >> U64(32)).astype(np.uint32)
         docs, pos = ids[doc], (where - starts[doc]).astype(np.uint32)
         order = np.lexsort((pos, docs, extra, main))
         main, extra, docs, pos = main[order], extra[order], docs[order], pos[order]
