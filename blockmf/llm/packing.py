@@ -90,7 +90,7 @@ def _fullest(sizes: list[int], counts: list[int], capacity: int) -> list[int]:
     return take
 
 
-def plan_packing(histogram: dict[int, int], capacity: int = 2048, groups: int = 32, small_share: float = 0.2) -> tuple[list[tuple[int, int, int, int, int]], int]:
+def plan_packing(histogram: dict[int, int], capacity: int = 2048, groups: int = 512, small_share: float = 0.2) -> tuple[list[tuple[int, int, int, int, int]], int]:
     """histogram {length: pieces} -> (runs, sequences). A run (length, rank_from, rank_to, first_sequence, offset) places the pieces of a
     length with rank_from <= rank < rank_to at `offset` of sequences first_sequence, first_sequence + 1, ..."""
     least = max(1, int(capacity * small_share))
@@ -186,7 +186,7 @@ def plan_packing(histogram: dict[int, int], capacity: int = 2048, groups: int =
     return runs, sequences
 
 
-def pack(docs: DataFrame, vocab: str, capacity: int = 2048, end_id: int = 0, groups: int = 32) -> DataFrame:
+def pack(docs: DataFrame, vocab: str, capacity: int = 2048, end_id: int = 0, groups: int = 512) -> DataFrame:
     """docs -> doc_id, piece, start, length, ids_crc32, sequence_id, offset."""
     spark = docs.sparkSession
     pieces = make_pieces(docs, vocab, capacity, end_id)
