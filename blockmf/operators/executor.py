@@ -14,7 +14,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from blockmf.operators.kernels import run_block
+from blockmf.operators.kernels import run_block, vectors
 from blockmf.operators.params import MFParams
 from blockmf.plans.scheduler import Visit
 
@@ -36,9 +36,10 @@ def _kernel(params: MFParams, kinds: dict[int, str]):
             return state.select(["side", "id", "stripe", "vec"])
         o, u, v, r = (ratings.column(c).to_numpy() for c in ("o", "u", "v", "r"))
         order = np.lexsort((v, u, o))
-        side = np.array(state.column("side").to_pylist())
+        state = state.combine_chunks()
+        side = state.column("side").to_numpy()
         ids = state.column("id").to_numpy()
-        vec = np.array(state.column("vec").to_pylist(), np.float64).reshape(len(ids), params.k)
+        vec = np.array(state.column("vec").combine_chunks().flatten()).reshape(len(ids), params.k)
         by_id = np.argsort(ids, kind="stable")
         at = {s: by_id[side[by_id] == s] for s in "pq"}
         p, q = vec[at["p"]], vec[at["q"]]
@@ -46,7 +47,7 @@ def _kernel(params: MFParams, kinds: dict[int, str]):
         vec[at["p"]], vec[at["q"]] = p, q
         if not np.isfinite(vec).all():
             raise FloatingPointError(f"factors diverged in visit {visit}; use a smaller gamma")
-        return pa.Table.from_arrays([state.column("side"), state.column("id"), state.column("stripe"), pa.array(vec.tolist(), pa.list_(pa.float64()))], ["side", "id", "stripe", "vec"])
+        return pa.Table.from_arrays([state.column("side"), state.column("id"), state.column("stripe"), vectors(vec)], ["side", "id", "stripe", "vec"])
 
     return run
 

@@ -6,6 +6,7 @@ A block is (rows, cols, vals): positions of the factor rows in p and q, and the
 from __future__ import annotations
 
 import numpy as np
+import pyarrow as pa
 
 from blockmf.operators.params import MFParams
 
@@ -87,3 +88,9 @@ def run_block(kind: str, u, v, r, p_ids, p, q_ids, q, params: MFParams) -> None:
     """One visit: ids -> positions, then the lane's kernel. Ids of p and q are sorted."""
     rows, cols = np.searchsorted(p_ids, u), np.searchsorted(q_ids, v)
     {"narrow": ordered_kernel, "wide": wide_kernel}[kind](rows, cols, r, p, q, params)
+
+
+def vectors(m: np.ndarray) -> pa.Array:
+    """Rows of a matrix as an Arrow list column."""
+    ends = np.arange(0, m.size + 1, max(1, m.shape[1]), dtype=np.int32)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(np.ascontiguousarray(m).ravel()))

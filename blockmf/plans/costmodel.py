@@ -62,7 +62,7 @@ def fit_line(probe: DataFrame) -> DataFrame:
 
 
 def fit_piecewise(probe: DataFrame, curve: str, tol: float = 0.02) -> DataFrame:
-    """kind, stage, tau, form, a, b (curve up to tau), line_a, line_b (line from tau on). A stage without two points above tau keeps
+    """kind, stage, tau, form, a, b (curve up to tau), line_a, line_b (line from tau on), least (probed size). A stage without two points above tau keeps
     the speed that it has at tau."""
     x = F.expr(FORMS[curve])
     p = throughput(probe).join(F.broadcast(find_tau(probe, tol)), ["kind", "stage"]).withColumn("x", x)
@@ -74,14 +74,15 @@ def fit_piecewise(probe: DataFrame, curve: str, tol: float = 0.02) -> DataFrame:
         F.regr_intercept(F.when(high, F.col("seconds")), F.when(high, F.col("size").cast("double"))).alias("lb"),
         F.max(F.when(F.col("size") == F.col("tau"), F.col("seconds"))).alias("at_tau"),
         F.count_if(high).alias("n_high"),
+        F.min("size").alias("least"),
     )
     enough = F.col("n_high") >= 2
-    return fit.select("kind", "stage", "tau", F.lit(curve).alias("form"), "a", "b", F.when(enough, F.col("la")).otherwise(F.col("at_tau") / F.col("tau")).alias("line_a"), F.when(enough, F.col("lb")).otherwise(F.lit(0.0)).alias("line_b"))
+    return fit.select("kind", "stage", "tau", F.lit(curve).alias("form"), "a", "b", F.when(enough, F.col("la")).otherwise(F.col("at_tau") / F.col("tau")).alias("line_a"), F.when(enough, F.col("lb")).otherwise(F.lit(0.0)).alias("line_b"), "least")
 
 
 @dataclass(frozen=True)
 class Piecewise:
-    """One stage's model on the driver. Where the curve's speed is not positive, the speed at tau stands in; predictions never fall as the size grows."""
+    """One stage's model on the driver. Below the least probed size its speed stands in, and where the curve's speed is not positive, that at tau."""
 
     form: str
     a: float
@@ -89,12 +90,15 @@ class Piecewise:
     tau: float
     line_a: float
     line_b: float
+    least: float = 0.0
 
     def __call__(self, size: float) -> float:
         if size <= 0:
             return 0.0
         if self.form == "line":
             return max(0.0, self.a * size + self.b)
+        if size < self.least:
+            return size / self.least * self(self.least)
         if size > self.tau:
             return max(self.line_a * size + self.line_b, self(self.tau))
         x = {"log": math.log, "sqrtlog": lambda s: math.sqrt(max(math.log(s), 0.0)), "sqrt": math.sqrt}[self.form](size)
@@ -107,7 +111,7 @@ def models(fit: DataFrame) -> dict[tuple[str, str], Piecewise]:
     out = {}
     for r in fit.collect():
         d = r.asDict()
-        out[(d["kind"], d["stage"])] = Piecewise(d["form"], d["a"], d["b"], d.get("tau") or math.inf, d.get("line_a") or 0.0, d.get("line_b") or 0.0)
+        out[(d["kind"], d["stage"])] = Piecewise(d["form"], d["a"], d["b"], d.get("tau") or math.inf, d.get("line_a") or 0.0, d.get("line_b") or 0.0, d.get("least") or 0.0)
     return out
 
 
@@ -215,7 +219,7 @@ def estimate_costs(spark: SparkSession, params, path: str | None = None, sizes:
     probe = spark.createDataFrame(rows, PROBE)
     moved = probe_transfer(spark, "to", [s * 16 for s in sizes], repeats)
     wide = fit_piecewise(probe.where("kind = 'wide'"), "log").unionByName(fit_piecewise(moved, "sqrtlog"))
-    line = fit_line(probe.where("kind = 'narrow'")).select("kind", "stage", F.lit(None).cast("long").alias("tau"), "form", "a", "b", F.lit(None).cast("double").alias("line_a"), F.lit(None).cast("double").alias("line_b"))
+    line = fit_line(probe.where("kind = 'narrow'")).select("kind", "stage", F.lit(None).cast("long").alias("tau"), "form", "a", "b", F.lit(None).cast("double").alias("line_a"), F.lit(None).cast("double").alias("line_b"), F.lit(None).cast("long").alias("least"))
     fit = line.unionByName(wide)
     if path:
         fit.coalesce(1).write.mode("overwrite").parquet(path)

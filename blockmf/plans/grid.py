@@ -68,9 +68,15 @@ def balanced_stripes(counts: DataFrame, axis: str, key: str, parts: int, region:
 
 
 def stripe_of(col: Column, stripes: list[Stripe]) -> Column:
-    """Index of the stripe that holds an id: a search in a constant array of bounds, so no join."""
-    bounds = F.array(*[F.lit(s.lo).cast("long") for s in stripes])
-    return F.size(F.filter(bounds, lambda b: b <= col)) - 1
+    """Index of the stripe that holds an id: a binary search over constant bounds, so no join and a logarithmic number of tests."""
+
+    def search(lo: int, hi: int) -> Column:
+        if hi - lo == 1:
+            return F.lit(lo)
+        mid = (lo + hi) // 2
+        return F.when(col < stripes[mid].lo, search(lo, mid)).otherwise(search(mid, hi))
+
+    return search(0, len(stripes))
 
 
 def stripes_frame(spark: SparkSession, stripes: list[Stripe]) -> DataFrame:
