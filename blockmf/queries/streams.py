@@ -32,11 +32,11 @@ def stream_ratings(spark, sf_dir):
     return s.drain(s.as_ratings(_events(spark, sf_dir)), "ratings").select("event_id", "u", "v", F.round("r", 6).alias("r"))
 
 
-@query("SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n, round(avg(value), 4) AS mean FROM events WHERE ts < (SELECT date_trunc('day', max(ts) - INTERVAL 10 MINUTE) FROM events) GROUP BY 1, 2")
+@query("SELECT date_trunc('day', ts) AS start, event_type, count(*) AS n, round(avg(value), 8) AS mean FROM events WHERE ts < (SELECT date_trunc('day', max(ts) - INTERVAL 10 MINUTE) FROM events) GROUP BY 1, 2")
 def stream_tumbling(spark, sf_dir):
     """Windows that the watermark has closed."""
     w = s.drain(s.tumbling(_events(spark, sf_dir)), "tumbling")
-    return w.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("mean", 4).alias("mean"))
+    return w.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("mean", 8).alias("mean"))
 
 
 @query("""WITH d AS (SELECT date_trunc('day', ts) AS d, value FROM events), w AS (SELECT d AS start, value FROM d UNION ALL SELECT d - INTERVAL 1 DAY, value FROM d)

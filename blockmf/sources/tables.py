@@ -12,14 +12,14 @@ from pyspark.sql import functions as F
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
 
 #: Closed form of a vector element of the planted model: four latent columns, values in [-1, 1).
-PLANTED = "((({id} * {a} + {j} * {b}) % 2003) / 1001.5 - 1)"
+PLANTED = "((({id} * {a} + {j} * {b}) % 2003) / 1001.5E0 - 1)"
 
 
 def planted_sql(pattern: str) -> str:
     p = [PLANTED.format(id="u", a=7919, j=j, b=613) for j in range(1, 5)]
     q = [PLANTED.format(id="v", a=104729, j=j, b=359) for j in range(1, 5)]
     dot = " + ".join(f"{a} * {b}" for a, b in zip(p, q, strict=True))
-    return f"SELECT u, v, CAST(3 + {dot} + 0.1 * (((u * 31 + v * 17) % 1009) / 504.5 - 1) AS DOUBLE) AS r FROM ({pattern}) cells"
+    return f"SELECT u, v, 3 + {dot} + 1E-1 * (((u * 31 + v * 17) % 1009) / 504.5E0 - 1) AS r FROM ({pattern}) cells"
 
 
 _CUST_PART = "SELECT o_custkey AS u, l_partkey AS v, avg(l_quantity) AS r FROM {lineitem} JOIN {orders} ON l_orderkey = o_orderkey GROUP BY o_custkey, l_partkey"
