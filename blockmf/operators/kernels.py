@@ -66,22 +66,28 @@ def wide_kernel(rows, cols, vals, p, q, params: MFParams) -> None:
     'sum' adds them, 'mean' averages them, 'last' keeps the last (lock-free overwriting), 'split' runs
     sub-batches without shared vectors, which equals the narrow kernel."""
     width = max(1, params.batch_width)
+    dots = _dots if width == 1 or params.collide == "split" else lambda a, b: np.einsum("ij,ij->i", a, b)
     for lo in range(0, len(vals), width):
         part = np.arange(lo, min(lo + width, len(vals)))
         for i in _parted(rows[part], cols[part]) if params.collide == "split" else (slice(None),):
             at = part[i]
             u, v = rows[at], cols[at]
             pu, qv = p[u], q[v]
-            dp, dq = _delta(pu, qv, vals[at] - _dots(pu, qv), params)
+            dp, dq = _delta(pu, qv, vals[at] - dots(pu, qv), params)
             if params.collide == "last":
                 p[u], q[v] = pu + dp, qv + dq
             elif params.collide == "split":
                 p[u], q[v] = pu + dp, qv + dq
             else:
-                for m, ids, d in ((p, u, dp), (q, v, dq)):
-                    if params.collide == "mean":
-                        d = d / np.bincount(ids, minlength=len(m))[ids][:, None]
-                    np.add.at(m, ids, d)
+                _add(p, u, dp, params.collide == "mean")
+                _add(q, v, dq, params.collide == "mean")
+
+
+def _add(m: np.ndarray, ids: np.ndarray, d: np.ndarray, mean: bool) -> None:
+    """Add the sums (or means) of the steps of each vector."""
+    if mean:
+        d = d / np.bincount(ids)[ids][:, None]
+    np.add.at(m, ids, d)
 
 
 def run_block(kind: str, u, v, r, p_ids, p, q_ids, q, params: MFParams) -> None:
