@@ -252,8 +252,12 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, size: int = 5, bands:
     spread = math.sqrt(samples * threshold * (1 - threshold))
     least, sure = math.floor(samples * threshold - 3.2 * spread), math.floor(samples * threshold - spread)
     signed = cut(base.mapInArrow(_signatures(size, samples, idf), "doc_id long, fp1 long, fp2 long, sig array<int>"), "signatures")
-    same = signed.groupBy("fp1", "fp2").agg(F.min("doc_id").alias("head"))
-    member = cut(signed.select("doc_id", "fp1", "fp2").join(same, ["fp1", "fp2"]).select("doc_id", "head").distinct(), "heads")
+    # copies meet their head by fingerprint and salt, so that a group of copies with a third of all rows is dealt over many tasks
+    salted = signed.select("doc_id", "fp1", "fp2", F.pmod(F.xxhash64("doc_id"), F.lit(32)).alias("salt"))
+    parts = salted.groupBy("fp1", "fp2", "salt").agg(F.min("doc_id").alias("least"))
+    same = parts.groupBy("fp1", "fp2").agg(F.min("least").alias("head"))
+    known = parts.select("fp1", "fp2", "salt").join(same, ["fp1", "fp2"])
+    member = cut(salted.join(known, ["fp1", "fp2", "salt"]).select("doc_id", "head").distinct(), "heads")
     heads = signed.join(member.where("doc_id = head").select("doc_id"), "doc_id", "left_semi").select("doc_id", "sig")
     pairs = cut(candidate_pairs(heads, bands, rows, reps, least, sure), "pairs")
     links = cut(verify_pairs(base, pairs, size, idf).where(F.col("sim") >= threshold).select("a", "b").distinct(), "links")
