@@ -10,8 +10,8 @@ that a large group of near copies shares would weigh next to nothing and the gro
 2. Signatures: `bands` bands of `rows` samples by improved consistent weighted sampling. Samples of equal shingles and
    weights are equal, so two documents agree in a sample with a probability of their weighted Jaccard similarity.
 3. Within a band bucket, members are not paired with each other but with `reps` of its members (least under as many hash orders),
-   found by aggregates: pairs grow linearly. Of these the one that agrees best in the whole signature is kept if they agree in
-   so many samples as a pair at the threshold misses once in some thousand times. Members that agree with none of them meet
+   found by aggregates: pairs grow linearly. Those are kept that agree in so many samples of the whole signature as a pair at
+   the threshold misses once in some thousand times (only the best one if all but one sample agree). Members that are sure of none of them meet
    again in finer buckets (of two bands), so that a bucket which mixes several groups comes apart.
 4. Pairs are verified on the whole texts by weighted Jaccard similarity of at least `threshold`.
 5. Connected components of the verified links are the classes.
@@ -225,23 +225,28 @@ def _verify(size: int, idf: np.ndarray):
     return verify
 
 
-def _best_reps(members: DataFrame, reps: int) -> DataFrame:
-    """members(key, doc_id, sig) -> key, doc_id, sig, best(agree, rep): of the bucket's representatives the one that agrees in most samples."""
-    of = [F.min(F.struct(F.xxhash64(F.col("doc_id"), F.lit(t)).alias("x"), F.col("doc_id").alias("i"), F.col("sig").alias("s"))).alias(f"r{t}") for t in range(reps)]
+def _met_reps(members: DataFrame, reps: int) -> DataFrame:
+    """members(key, doc_id, sig) -> key, doc_id, sig, met: array of (agree, rep), best first: samples shared with the bucket's representatives.
+    The first representative is least under one order for all buckets, the others under orders of each bucket."""
+    orders = [F.xxhash64(F.col("doc_id"), F.lit(0)) if t == 0 else F.xxhash64(F.col("doc_id"), F.col("key"), F.lit(t)) for t in range(reps)]
+    of = [F.min(F.struct(o.alias("x"), F.col("doc_id").alias("i"), F.col("sig").alias("s"))).alias(f"r{t}") for t, o in enumerate(orders)]
     chosen = members.groupBy("key").agg(F.count(F.lit(1)).alias("n"), *of).where("n > 1")
     met = members.join(chosen.select("key", F.array(*[f"r{t}" for t in range(reps)]).alias("reps")), "key")
     agree = F.expr("transform(filter(reps, r -> r.i != doc_id), r -> struct(aggregate(zip_with(sig, r.s, (x, y) -> int(x = y)), 0, (a, e) -> a + e) as agree, r.i as rep))")
-    return met.select("key", "doc_id", "sig", F.array_max(agree).alias("best")).where("best is not null")
+    return met.select("key", "doc_id", "sig", F.sort_array(F.array_distinct(agree), asc=False).alias("met")).where("size(met) > 0")
 
 
 def candidate_pairs(heads: DataFrame, bands: int, rows: int, reps: int, least: int, sure: int) -> DataFrame:
     """heads(doc_id, sig) -> distinct pairs (a, b), a < b."""
+    samples = bands * rows
     keys = F.array(*[F.xxhash64(F.lit(i), F.slice("sig", i * rows + 1, rows)) for i in range(bands)])
-    coarse = cut(_best_reps(heads.select(F.explode(keys).alias("key"), "doc_id", "sig"), reps), "buckets")
-    loose = coarse.where(F.col("best.agree") < sure).select("key", "doc_id", "sig")
-    fine = _best_reps(loose.select(F.explode(F.transform(keys, lambda k: F.xxhash64("key", k))).alias("key"), "doc_id", "sig"), reps)
-    met = coarse.select("doc_id", "best").unionByName(fine.select("doc_id", "best")).where(F.col("best.agree") >= least)
-    return met.select(F.least("doc_id", "best.rep").alias("a"), F.greatest("doc_id", "best.rep").alias("b")).distinct()
+    coarse = cut(_met_reps(heads.select(F.explode(keys).alias("key"), "doc_id", "sig"), reps), "buckets")
+    loose = coarse.where(F.get("met", F.lit(0))["agree"] < sure).select("key", "doc_id", "sig")
+    fine = _met_reps(loose.select(F.explode(F.transform(keys, lambda k: F.xxhash64("key", k))).alias("key"), "doc_id", "sig"), reps)
+    # all that may be near; if the best is all but equal, what is near to it is near to its other neighbours through it
+    kept = F.expr(f"if(get(met, 0).agree >= {samples - 1}, slice(met, 1, 1), filter(met, m -> m.agree >= {least}))")
+    met = coarse.select("doc_id", kept.alias("met")).unionByName(fine.select("doc_id", kept.alias("met"))).select("doc_id", F.explode("met").alias("m"))
+    return met.select(F.least("doc_id", "m.rep").alias("a"), F.greatest("doc_id", "m.rep").alias("b")).distinct()
 
 
 def near_classes(docs: DataFrame, threshold: float = 0.8, size: int = 5, bands: int = 8, rows: int = 3, reps: int = 3, damping: float = 0.25, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
