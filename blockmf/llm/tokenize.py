@@ -32,7 +32,7 @@ _VISIBLE = {b: 256 + i for i, b in enumerate(_HIDDEN)}
 
 
 class PieceTokenizer:
-    def __init__(self, path: str, keep: int = 450_000):
+    def __init__(self, path: str, keep: int | None = None):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")  # tasks are the parallelism
         from tokenizers import Tokenizer
 
@@ -41,7 +41,8 @@ class PieceTokenizer:
         self.words = self.tok.normalizer is not None  # the word vocabulary normalises and drops white space
         self.dtype = np.dtype("<u2") if self.tok.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
         self.code = {2: "H", 4: "I"}[self.dtype.itemsize]
-        self.keep, self.lead = keep, "" if self.words else " "
+        self.keep = keep or (200_000 if self.words else 450_000)  # lower case has fewer distinct pieces
+        self.lead = "" if self.words else " "
         self.mapped_lead = self.lead.translate(_VISIBLE)
         self.young: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
