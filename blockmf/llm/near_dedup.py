@@ -9,12 +9,15 @@ that a large group of near copies shares would weigh next to nothing and the gro
 1. Texts that are equal as shingle sequences (128-bit hash) form one class; its least id stands for it from here on.
 2. Signatures: `bands` bands of `rows` samples by improved consistent weighted sampling. Samples of equal shingles and
    weights are equal, so two documents agree in a sample with a probability of their weighted Jaccard similarity.
-3. Within a band bucket, members are not paired with each other but with `reps` of its members (least under as many hash orders),
-   found by aggregates: pairs grow linearly. Those are kept that agree in so many samples of the whole signature as a pair at
-   the threshold misses once in some thousand times (only the best one if all but one sample agree). Members that are sure of none of them meet
+3. Within a band bucket, members first meet `reps` of its members (least under as many hash orders), found by aggregates: pairs
+   grow linearly. Those are kept that agree in so many samples of the whole signature as a pair at the threshold misses once in
+   some thousand times (only the best one if all but one sample agree). Members that are sure of none of them meet
    again in finer buckets (of two bands), so that a bucket which mixes several groups comes apart.
-4. Pairs are verified on the whole texts by weighted Jaccard similarity of at least `threshold`.
-5. Connected components of the verified links are the classes.
+4. Pairs are verified on the whole texts by weighted Jaccard similarity of at least `threshold`; connected components of the links.
+5. What the representatives have left apart: all members of a bucket that are in different components meet, in blocks of bounded size.
+   At first each is verified with the most alike and the most central one of a block only (a hub of copies is central), then, with the
+   components grown, with every one that agrees in enough samples. Pairs within a component can add nothing. So the classes are the
+   components of all links between documents that share a bucket.
 
 Edge cases. Null or empty text, texts below `shingle` words: the words there are form one shingle; texts without words
 are all equal. Rows that repeat an id: one document. Rows without an id: in no class. Very long texts: hashed in slices. Empty table: empty result.
@@ -24,6 +27,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from itertools import chain
 
 import numpy as np
 import pyarrow as pa
@@ -35,6 +39,7 @@ from blockmf.llm.components import connected_components
 from blockmf.llm.suffix_dedup import U64, RangeHash, mix, text_buffer
 
 SLOTS = 1 << 21  # of the df sketch: 8 MB as 32-bit counts
+CHUNK = 1024  # members of a bucket on either side of a block
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _IS_SPACE = np.zeros(256, bool)
@@ -233,11 +238,11 @@ def _met_reps(members: DataFrame, reps: int) -> DataFrame:
     chosen = members.groupBy("key").agg(F.count(F.lit(1)).alias("n"), *of).where("n > 1")
     met = members.join(chosen.select("key", F.array(*[f"r{t}" for t in range(reps)]).alias("reps")), "key")
     agree = F.expr("transform(filter(reps, r -> r.i != doc_id), r -> struct(aggregate(zip_with(sig, r.s, (x, y) -> int(x = y)), 0, (a, e) -> a + e) as agree, r.i as rep))")
-    return met.select("key", "doc_id", "sig", F.sort_array(F.array_distinct(agree), asc=False).alias("met")).where("size(met) > 0")
+    return met.select("key", "doc_id", "sig", F.sort_array(F.array_distinct(agree), asc=False).alias("met"))
 
 
-def candidate_pairs(heads: DataFrame, bands: int, rows: int, reps: int, least: int, sure: int) -> DataFrame:
-    """heads(doc_id, sig) -> distinct pairs (a, b), a < b."""
+def candidate_pairs(heads: DataFrame, bands: int, rows: int, reps: int, least: int, sure: int) -> tuple[DataFrame, DataFrame]:
+    """heads(doc_id, sig) -> buckets of two members and more (key, doc_id, sig); distinct pairs (a, b), a < b, with representatives."""
     samples = bands * rows
     keys = F.array(*[F.xxhash64(F.lit(i), F.slice("sig", i * rows + 1, rows)) for i in range(bands)])
     coarse = cut(_met_reps(heads.select(F.explode(keys).alias("key"), "doc_id", "sig"), reps), "buckets")
@@ -246,7 +251,78 @@ def candidate_pairs(heads: DataFrame, bands: int, rows: int, reps: int, least: i
     # all that may be near; if the best is all but equal, what is near to it is near to its other neighbours through it
     kept = F.expr(f"if(get(met, 0).agree >= {samples - 1}, slice(met, 1, 1), filter(met, m -> m.agree >= {least}))")
     met = coarse.select("doc_id", kept.alias("met")).unionByName(fine.select("doc_id", kept.alias("met"))).select("doc_id", F.explode("met").alias("m"))
-    return met.select(F.least("doc_id", "m.rep").alias("a"), F.greatest("doc_id", "m.rep").alias("b")).distinct()
+    return coarse.select("key", "doc_id", "sig"), met.select(F.least("doc_id", "m.rep").alias("a"), F.greatest("doc_id", "m.rep").alias("b")).distinct()
+
+
+def _block_pairs(agree: np.ndarray, ok: np.ndarray, picked: bool, both: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pairs of a block. picked: for each row (both: and column) the most alike and the most central partner only."""
+    if not picked:
+        return np.nonzero(ok)
+    value = np.where(ok, agree, 0).astype(np.int64)
+    rows, cols = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    for v, i, j in ((value, rows, cols), (value.T, cols, rows))[: 1 + both]:
+        some = np.flatnonzero(v.any(axis=1))
+        if len(some):
+            central = v.sum(axis=0)
+            i += [some, some]
+            j += [v[some].argmax(axis=1), np.where(v[some] > 0, central, -1).argmax(axis=1)]
+    return np.concatenate(rows), np.concatenate(cols)
+
+
+def _cross(samples: int, least: int, picked: bool):
+    def cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: pa.Table | None = None  # the last block may go on in the next batch
+        for batch in chain(batches, [None]):
+            parts = [t for t in (held, None if batch is None else pa.Table.from_batches([batch])) if t is not None]
+            if not parts or not (t := pa.concat_tables(parts).combine_chunks()).num_rows:
+                continue
+            key, x, y, chunk, both, doc, c = (t.column(n).to_numpy() for n in ("key", "x", "y", "chunk", "both", "doc_id", "c"))
+            starts = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])]))
+            ends = np.concatenate([starts[1:], [len(key)]])
+            if batch is not None:
+                held, starts, ends = t.slice(starts[-1]), starts[:-1], ends[:-1]
+            sig = t.column("sig").combine_chunks().flatten().to_numpy().reshape(-1, samples)
+            a, b = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+            for lo, hi in zip(starts.tolist(), ends.tolist(), strict=True):
+                at = np.arange(lo, hi)
+                same = x[lo] == y[lo]
+                left, right = (at, at) if same else (at[chunk[lo:hi] == x[lo]], at[chunk[lo:hi] == y[lo]])
+                ok = c[left][:, None] != c[right]
+                if not ok.any():
+                    continue
+                agree = np.zeros(ok.shape, np.int16)
+                for k in range(samples):
+                    agree += sig[left, k][:, None] == sig[right, k]
+                i, j = _block_pairs(agree, ok & (agree >= least), picked, bool(both[lo]) and not same)
+                a.append(np.minimum(doc[left[i]], doc[right[j]]))
+                b.append(np.maximum(doc[left[i]], doc[right[j]]))
+            a, b = np.concatenate(a), np.concatenate(b)
+            for lo in range(0, len(a), 1 << 16):
+                yield pa.RecordBatch.from_arrays([pa.array(a[lo : lo + (1 << 16)]), pa.array(b[lo : lo + (1 << 16)])], ["a", "b"])
+
+    return cross
+
+
+def cross_pairs(buckets: DataFrame, label: DataFrame, samples: int, least: int, picked: bool) -> DataFrame:
+    """buckets(key, doc_id, sig), label(doc_id, c) -> distinct pairs (a, b), a < b, of a bucket that are in different components c.
+
+    The members of a bucket's largest component meet the others, and the others meet each other, in blocks of two chunks."""
+    per = buckets.select("key", "doc_id").join(label, "doc_id").groupBy("key", "c").agg(F.count(F.lit(1)).alias("n"))
+    mixed = per.groupBy("key").agg(F.max(F.struct("n", "c")).alias("most"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
+    sizes = mixed.select("key", F.col("most.c").alias("major"), F.expr(f"int(ceil((n - most.n) / {CHUNK}))").alias("gu"), F.expr(f"int(ceil(most.n / {CHUNK}))").alias("gl"))
+    rows = buckets.join(sizes, "key").join(label, "doc_id")
+    rows = rows.withColumn("chunk", F.expr("int(if(c = major, gu + pmod(xxhash64(doc_id, key), gl), pmod(xxhash64(doc_id, key), gu)))"))
+    blocks = F.expr("filter(transform(sequence(0, gu + gl - 1), i -> struct(least(i, chunk) as x, greatest(i, chunk) as y)), z -> z.x < gu)")
+    dealt = rows.select("key", "doc_id", "c", "sig", "chunk", "gu", F.explode(blocks).alias("z")).select("key", "z.x", "z.y", "chunk", F.expr("z.y < gu").alias("both"), "doc_id", "c", "sig")
+    ordered = dealt.repartition("key", "x", "y").sortWithinPartitions("key", "x", "y")
+    return ordered.mapInArrow(_cross(samples, least, picked), "a long, b long").distinct()
+
+
+def _merged(label: DataFrame, links: DataFrame) -> DataFrame:
+    """label(doc_id, c) after the components that links (a, b) join have become one."""
+    ends = links.join(label.select(F.col("doc_id").alias("a"), F.col("c").alias("ca")), "a").join(label.select(F.col("doc_id").alias("b"), F.col("c").alias("cb")), "b")
+    comp = connected_components(ends, "ca", "cb")
+    return cut(label.join(comp, label["c"] == comp["node"], "left").select("doc_id", F.coalesce("component", "c").alias("c")), "label")
 
 
 def near_classes(docs: DataFrame, threshold: float = 0.8, size: int = 5, bands: int = 8, rows: int = 3, reps: int = 3, damping: float = 0.25, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -264,10 +340,19 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, size: int = 5, bands:
     known = parts.select("fp1", "fp2", "salt").join(same, ["fp1", "fp2"])
     member = cut(salted.join(known, ["fp1", "fp2", "salt"]).select("doc_id", "head").distinct(), "heads")
     heads = signed.join(member.where("doc_id = head").select("doc_id"), "doc_id", "left_semi").select("doc_id", "sig")
-    pairs = cut(candidate_pairs(heads, bands, rows, reps, least, sure), "pairs")
-    links = cut(verify_pairs(base, pairs, size, idf).where(F.col("sim") >= threshold).select("a", "b").distinct(), "links")
-    comp = connected_components(links, "a", "b")
-    return member.join(comp, member["head"] == comp["node"], "left").select("doc_id", F.coalesce("component", "head").alias("class_id"))
+    buckets, pairs = candidate_pairs(heads, bands, rows, reps, least, sure)
+    tried, label = cut(pairs, "pairs"), heads.select("doc_id", F.col("doc_id").alias("c"))
+    label = _merged(label, _links(base, tried, size, idf, threshold))
+    for picked in (True, False):
+        new = cut(cross_pairs(buckets, label, samples, least, picked).join(tried, ["a", "b"], "left_anti"), "cross")
+        label = _merged(label, _links(base, new, size, idf, threshold))
+        tried = tried.unionByName(new)
+    classes = label.withColumnsRenamed({"doc_id": "head", "c": "class_id"})
+    return member.join(classes, "head").select("doc_id", "class_id")
+
+
+def _links(base: DataFrame, pairs: DataFrame, size: int, idf: np.ndarray, threshold: float) -> DataFrame:
+    return cut(verify_pairs(base, pairs, size, idf).where(F.col("sim") >= threshold).select("a", "b").distinct(), "links")
 
 
 def verify_pairs(base: DataFrame, pairs: DataFrame, size: int, idf: np.ndarray) -> DataFrame:

@@ -97,6 +97,38 @@ def test_near_dedup_is_brute_force(spark, sample):
     assert got == {d: root(d) for d in w}
 
 
+@pytest.mark.parametrize("copies", [10, 100, 1000])
+@pytest.mark.parametrize("chunk", [None, 64])
+def test_near_dedup_star_is_brute_force(spark, copies, chunk, monkeypatch):
+    """Copies near the original but not near each other: links that no representative has."""
+    if chunk:
+        monkeypatch.setattr(near_dedup, "CHUNK", chunk)
+    r = random.Random(copies)
+    words = [f"w{r.randrange(10**6)}" for _ in range(300)]
+    texts = [words]
+    for _ in range(copies):
+        texts.append([*words])
+        for i in r.sample(range(300), 5):
+            texts[-1][i] = f"x{r.randrange(10**9)}"
+    ids = r.sample(range(10 * copies), copies + 1)
+    docs = spark.createDataFrame([(d, " ".join(t)) for d, t in zip(ids, texts, strict=True)], DOCS)
+    idf = near_dedup.idf_table(docs)
+    w = [near_dedup._weigh(" ".join(t), 5, idf) for t in texts]
+    left, want = set(range(copies + 1)), {}
+    while left:  # components by search over all pairs
+        group, todo = set(), [left.pop()]
+        while todo:
+            a = todo.pop()
+            group.add(a)
+            near = {b for b in left if near_dedup.weighted_jaccard(w[a], w[b]) >= 0.8}
+            left -= near
+            todo += near
+        want |= {ids[a]: min(ids[b] for b in group) for a in group}
+    assert len(set(want.values())) < copies / 5
+    got = {x.doc_id: x.class_id for x in near_dedup.near_classes(docs).collect()}
+    assert sum(got[d] != c for d, c in want.items()) == 0
+
+
 def test_near_dedup_edges(spark):
     r = random.Random(5)
     words = [f"w{r.randrange(10**6)}" for _ in range(400)]
