@@ -79,13 +79,20 @@ P1 = MFParams(k=4, epochs=1)
 @query(recursive_sql("SELECT dense_rank() OVER (ORDER BY event_id) AS step, user_id AS u, CAST(hour(ts) AS BIGINT) AS v, value / 20 AS r FROM events WHERE user_id % 10 = 0", P1).replace(
     "(SELECT DISTINCT u AS id FROM one)", f"(SELECT DISTINCT u AS id FROM ({view_sql('user_hour')}) z WHERE u % 10 = 0)").replace("(SELECT DISTINCT v AS id FROM one)", f"(SELECT DISTINCT v AS id FROM ({view_sql('user_hour')}) z)"))
 def stream_online_sgd(spark, sf_dir):
-    """Serial steps by event for a stated tenth of the users: the last version of the factors."""
+    """Serial steps by event for the tenth of the users that the recursive SQL can follow; stream_online_sgd_all is the whole run."""
     r = rating_view(spark, sf_dir, "user_hour")
     f = init_factors(r, P1.k, P1.seed, P1.scale).where("side = 'q' or id % 10 = 0")
     rows = s.as_ratings(_events(spark, sf_dir)).where("u % 10 = 0")
     return flat(s.online_sgd(rows, f, P1)[-1])
 
 
+@query()
+def stream_online_sgd_all(spark, sf_dir):
+    """Serial steps by event over all events and users: the last version of the factors."""
+    f = init_factors(rating_view(spark, sf_dir, "user_hour"), P1.k, P1.seed, P1.scale)
+    return flat(s.online_sgd(s.as_ratings(_events(spark, sf_dir)), f, P1)[-1])
+
+
 @query("SELECT user_id AS u, count(*) AS n FROM events GROUP BY 1")
 def stream_user_state(spark, sf_dir):
     """Vectors as keyed state; here the number of steps each has seen."""

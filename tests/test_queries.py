@@ -4,6 +4,7 @@ import sys
 from pathlib import Path
 
 import duckdb
+import numpy as np
 import pandas as pd
 import pytest
 
@@ -40,6 +41,25 @@ def test_query_equals_sql(spark, duck, name):
     assert rows(got) == rows(want)
 
 
+def test_online_steps_over_all_events_are_serial(spark):
+    """The whole stream against one loop over the events."""
+    from blockmf.operators.factors import init_vector
+    from blockmf.queries.streams import P1
+
+    events = pd.read_parquet(f"{SF}/events.parquet").sort_values("event_id")
+    sides = {"p": events["user_id"].tolist(), "q": events["ts"].dt.hour.tolist()}
+    vec = {(s, i): init_vector(s, np.array([i]), P1.k, P1.seed, P1.scale)[0] for s, ids in sides.items() for i in set(ids)}
+    g = P1.gamma * P1.grad_scale
+    for u, v, value in zip(sides["p"], sides["q"], events["value"], strict=True):
+        p, q = vec["p", u], vec["q", v]
+        e = value / 20 - p @ q
+        new_p = p + g * (e * q - P1.lam_p * p)
+        vec["p", u], vec["q", v] = new_p, q + g * (e * (new_p if P1.q_sees == "new_p" else p) - P1.lam_q * q)
+    got = {(r.side, r.id, r.pos): r.value for r in all_queries()["stream_online_sgd_all"](spark, SF).collect()}
+    assert {k[:2] for k in got} == set(vec)
+    assert got == pytest.approx({(*k, j): x for k, m in vec.items() for j, x in enumerate(m)}, abs=2e-6)
+
+
 def test_entry_and_registry(spark):
     sys.path.insert(0, str(Path(__file__).resolve().parent.parent))
     import __spark_entry__ as e
