@@ -7,7 +7,7 @@ ids of the text are their concatenation.
 * word BPE (white space dropped, lower case): tokens never hold white space, so the text is cut at it. Texts with the
   control characters about which Python and the library differ in what white space is go to the library as a whole.
 Both patterns part a letter from a comma or stop after it, so only what is before it is kept.
-The vocabularies' special strings are ordinary text. The memory for kept pieces is bounded: two generations of
+Texts that hold one of the vocabulary's added strings (end of text and the like), for which the library has ids of their own, go to it as a whole. The memory for kept pieces is bounded: two generations of
 `keep` pieces each, of which the older one goes when the younger one is full.
 """
 
@@ -37,7 +37,7 @@ class PieceTokenizer:
         from tokenizers import Tokenizer
 
         self.tok = Tokenizer.from_file(path)
-        self.tok.encode_special_tokens = True
+        self.added = sorted({t.content for t in self.tok.get_added_tokens_decoder().values() if t.content})
         self.words = self.tok.normalizer is not None  # the word vocabulary normalises and drops white space
         self.dtype = np.dtype("<u2") if self.tok.get_vocab_size() <= 1 << 16 else np.dtype("<u4")
         self.code = {2: "H", 4: "I"}[self.dtype.itemsize]
@@ -99,6 +99,8 @@ class PieceTokenizer:
         """Ids of text as little-endian unsigned integers of self.dtype."""
         if not text:
             return b""
+        if any(x in self._lower(text) for x in self.added):
+            return self._ids(text)
         if self.words:
             if any(c in text for c in _ODD_CONTROL):
                 return self._ids(text)
@@ -108,6 +110,20 @@ class PieceTokenizer:
         start, *pieces = text.split(" ")
         return self._first(start) + self._join(pieces)
 
+    def _lower(self, text: str) -> str:
+        return text.lower() if self.words else text
+
+    def _added_at(self, data: np.ndarray) -> np.ndarray:
+        """Places of added strings in a buffer, also of those that lower case would make."""
+        found = [np.zeros(0, np.int64)]
+        if self.words:
+            data = np.where((data >= 65) & (data <= 90), data + 32, data)
+        for raw in (x.encode() for x in self.added):
+            at = np.flatnonzero(data[: max(0, len(data) - len(raw) + 1)] == raw[0])
+            for k, byte in enumerate(raw[1:], 1):
+                at = at[data[at + k] == byte]
+            found.append(at)
+        return np.concatenate(found)
 
     def _odd_documents(self, data: np.ndarray, ends: np.ndarray) -> np.ndarray:
         """Numbers of documents that encode() would not cut, or whose lower case needs care. A few too many do no harm."""
@@ -121,7 +137,7 @@ class PieceTokenizer:
             white = (p1 <= 32) & ((p1 >= 28) | (p1 >= 9) & (p1 <= 13)) | (p2 == 0xC2) & ((p1 == 0x85) | (p1 == 0xA0))
             white |= ((p3 == 0xE2) & ((p2 == 0x80) | (p2 == 0x81)) | (p3 == 0xE1) | (p3 == 0xE3)) & (p1 >= 0x80)
             at = at[white & (at > 0)]
-        return np.unique(np.searchsorted(ends, at, "right"))
+        return np.unique(np.searchsorted(ends, np.concatenate([at, self._added_at(data)]), "right"))
 
     def encode_many(self, texts: pa.Array, end_id: int, size: int = 6 << 20):
         """Yields (token ids, end of each document in them) for runs of documents in order, the end id after each. Same ids as encode():
