@@ -7,8 +7,8 @@ a group through that aggregate: they differ exactly if the hash collided, and su
 their text.
 
 Edge cases. Null text: as empty. Null id: never the id that stays unless all ids of the group are null.
-Rows that repeat an id and its text are the same document: all of them carry kept = true if that id stays, and
-group_size counts rows. Empty table: empty result. Extra columns are ignored, whatever their names.
+Rows that repeat an id and its text are the same document: exact_groups() marks all of them as kept if that id stays, and
+group_size counts rows; drop_copies() leaves one of them. Rows that repeat an id with different texts are told apart by their texts. Empty table: empty result. Extra columns are ignored, whatever their names.
 """
 
 from __future__ import annotations
@@ -44,7 +44,20 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return found.select(F.col("id").alias(id_col), "keep_id", "group_size", kept.alias("kept"), "text_sha256")
 
 
-def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", stays: str = "max") -> DataFrame:
-    """The rows of docs that stay, with all their columns."""
-    keep = exact_groups(docs, id_col, text_col, stays).where("kept").select(F.col(id_col).alias("_keep")).distinct()
-    return docs.join(keep, docs[id_col].eqNullSafe(keep["_keep"]), "left_semi")
+def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", stays: str = "max", hash_of: Callable[[Column], Column] = content_hash) -> DataFrame:
+    """One row of docs for each distinct text, with all its columns: the one with the largest ('max') or smallest ('min') id. A row without an id stays
+    only if no row of its group has one; of rows that repeat an id and its text, the greatest under a hash of their columns stays.
+    One aggregate over content hashes, with a partial one before the shuffle; groups whose hash collided are grouped by their text."""
+    plain = [F.col(f"`{f.name}`") for f in docs.schema.fields if "map<" not in f.dataType.simpleString() and f.dataType.simpleString() != "variant"]
+    norm = ascii_lower(text_or_empty(text_col))
+    named, number = F.col(id_col).isNotNull(), F.col(id_col)
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in docs.columns]).alias("row"), norm.alias("norm"), F.struct(named if stays == "max" else ~named, number, F.xxhash64(*plain)).alias("rank"))
+    pick = {"min": F.min_by, "max": F.max_by}[stays]
+    hashed = rows.withColumn("h", hash_of(F.col("norm")))
+    groups = hashed.groupBy("h").agg(pick("row", "rank").alias("row"), F.min("norm").alias("lo"), F.max("norm").alias("hi"))
+    groups = cut(groups.select("h", "row", (F.col("lo") != F.col("hi")).alias("clash")), "exact-rows")
+    found = groups.where(~F.col("clash")).select("row.*")
+    if not groups.where("clash").isEmpty():
+        both = hashed.join(groups.where("clash").select("h"), "h", "left_semi")
+        found = found.unionByName(both.groupBy("norm").agg(pick("row", "rank").alias("row")).select("row.*"))
+    return found
