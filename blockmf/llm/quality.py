@@ -17,6 +17,7 @@ for them, and they are not trained on. Empty tables: empty result.
 from __future__ import annotations
 
 import operator
+from collections import Counter
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -37,14 +38,13 @@ def features(text: str) -> list[float]:
         return [0.0] * len(NAMES)
     chars = len(text)
     low = text.lower().split()
-    kinds = set(low)
     lines = [x for x in text.split("\n") if x.strip()]
     repeat = sum(map(operator.eq, low, low[1:])) / n
     count = text.count
     symbols = sum(map(count, _SYMBOLS))
-    sample_top = max((low.count(w) for w in low[:: max(1, n // 8)]), default=0) / n  # the words at eight places, counted in the whole text
+    counts = Counter(low)
     return [
-        min(1.0, len(kinds) / n**0.9),
+        min(1.0, len(counts) / n**0.9),
         repeat,
         sum(map(str.isupper, words)) / n,
         sum(1 for w in words if not w[-1].isalnum() and w[-1] not in ".,;:!?\"')") / n,
@@ -58,7 +58,7 @@ def features(text: str) -> list[float]:
         sum(map(str.istitle, words)) / n,
         min(1.0, 4 * count(". ") / n),
         min(1.0, 4 * count(",") / n),
-        sample_top,
+        max(counts.values()) / n,
         min(1.0, np.log1p(n) / 12),
     ]
 
@@ -141,7 +141,10 @@ def scored(docs: DataFrame, model: Model, text_col: str = "text", name: str = "s
     return docs.withColumn(name, F.pandas_udf(score, "double", PandasUDFType.SCALAR_ITER)(F.col(text_col)))
 
 
-def accepted(docs: DataFrame, labels: DataFrame, **options) -> DataFrame:
-    """The rows of docs that the classifier accepts."""
-    model = train(docs, labels, **options)
-    return scored(docs, model, name="_quality_score").where(F.col("_quality_score") >= model.cut).drop("_quality_score")
+def accepted(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", **options) -> DataFrame:
+    """The rows of docs that the classifier accepts. Columns of docs may have any names."""
+    model = train(docs, labels, id_col=id_col, text_col=text_col, **options)
+    name = "_score"
+    while name in docs.columns:
+        name += "_"
+    return scored(docs, model, text_col, name).where(F.col(name) >= model.cut).drop(name)
