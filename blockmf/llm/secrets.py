@@ -16,11 +16,13 @@ longer than `LINE` tokens are decoded in overlapping windows. Repeated rows: one
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import re
 import zlib
 from collections.abc import Iterator
 from functools import lru_cache
+from itertools import accumulate
 
 import numpy as np
 import pyarrow as pa
@@ -57,13 +59,13 @@ def able(token: str) -> bool:
 
 @lru_cache(maxsize=65536)
 def shape(token: str) -> str:
-    """Runs of character classes, squeezed."""
+    """Runs of character classes of the whole token, squeezed: the first ten, and about how many there are."""
     out = []
-    for c in token[:64]:
+    for c in token:
         k = "d" if c.isdigit() else "a" if c.islower() else "A" if c.isupper() else c if c in "=/+_-.:\"'" else "x"
         if not out or out[-1] != k:
             out.append(k)
-    return "".join(out[:10])
+    return "".join(out[:10]) + f"{min(len(out) // 8, 9)}"
 
 
 @lru_cache(maxsize=65536)
@@ -262,8 +264,10 @@ def scan(text: str, weights: np.ndarray, trans: np.ndarray) -> tuple[list[tuple[
     """(base spans, all spans), each (start, kind number, end) in order."""
     base = base_spans(text)
     every = list(base)
+    starts, reach = [x for x, _, _ in base], list(accumulate((y for _, _, y in base), max))
     for s, e in field_spans(text, weights, trans):
-        if not any(s < y and x < e for x, _, y in base):
+        before = bisect.bisect_left(starts, e)  # base spans that start before the end; the farthest end of them tells whether one overlaps
+        if not before or reach[before - 1] <= s:
             every.append((s, 3, e))
     return base, sorted(every)
 
