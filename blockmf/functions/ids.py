@@ -7,8 +7,8 @@ from pyspark.sql import functions as F
 
 from blockmf.session import cut
 
-#: Fixed values of the arithmetic hashes: primes small enough that products of ids up to 10^12 stay in BIGINT.
-MULTIPLIER, SECOND, PRIME = 7919, 104729, 1000003
+#: Constants of the arithmetic hashes: remainders by a prime of 31 bits, so that products stay in BIGINT.
+MULTIPLIER, SECOND, PRIME = 1103515245, 104729, 2147483647
 
 
 def mixed(expr: str, seed: int = 0) -> str:

@@ -1,13 +1,15 @@
-"""Runs a schedule on ratings: the ratings are laid out once by row stripe; rounds move factors only.
+"""Runs a schedule on ratings that are laid out by block; rounds move the factors that they use, and nothing else.
 
-A pass is one plan: a chain of cogroups, one per round. In each, ratings and factors meet by visit number; factor rows that no visit of the
-round uses go through under keys of their own, so every round reads the one before it once and the plan stays a chain. Between passes the
-factors are written to the shared folder: lineage ends there, and a run can go on from any pass.
+Visits of a round share no stripe, so they run at once: the factors of the stripes that a round uses go to the partition of their visit (one
+partition per visit), whose lane reads the ratings of its own blocks from the shared folder. What a round returns is kept, and later
+rounds read each stripe where it was written last, so stripes that a round does not use are not touched. Between passes the factors are
+written to the shared folder: lineage ends there, and a run can go on from any pass. Ratings are never shuffled after they are laid out.
 """
 
 from __future__ import annotations
 
 from collections import defaultdict
+from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -17,37 +19,49 @@ from pyspark.sql import functions as F
 from blockmf.operators.kernels import run_block, vectors
 from blockmf.operators.params import MFParams
 from blockmf.plans.scheduler import Visit
+from blockmf.session import scratch_path
+from blockmf.sources.blocks import Layout, in_batches, lay_out, read_blocks
 
 STATE = "side string, id long, stripe int, vec array<double>"
 
 
-def pin_ratings(ratings: DataFrame, partitions: int | None = None, order: str = "hash") -> DataFrame:
-    """ratings(u, v, r, row_key, bj) laid out by row stripe and kept on disk and in memory: the only shuffle of the ratings in a run."""
+def pin_ratings(ratings: DataFrame, order: str = "hash") -> Layout:
+    """ratings(u, v, r, row_key, bj) laid out by block, in the visit order: the only shuffle of the ratings in a run."""
     from blockmf.operators.serial import order_expr
 
-    rows = ratings.select("u", "v", "r", F.col("row_key").cast("int").alias("row_key"), F.col("bj").cast("int").alias("bj"), F.expr(order_expr(order, 1)).cast("long").alias("o"))
-    return rows.repartition(partitions, "row_key").persist() if partitions else rows.repartition("row_key").persist()
-
-
-def _kernel(params: MFParams, kinds: dict[int, str]):
-    def run(key: tuple, ratings: pa.Table, state: pa.Table) -> pa.Table:
-        visit = key[0].as_py()
-        if visit < 0 or not ratings.num_rows:
-            return state.select(["side", "id", "stripe", "vec"])
-        o, u, v, r = (ratings.column(c).to_numpy() for c in ("o", "u", "v", "r"))
-        order = np.lexsort((v, u, o))
-        state = state.combine_chunks()
-        side = state.column("side").to_numpy()
-        ids = state.column("id").to_numpy()
-        vec = np.array(state.column("vec").combine_chunks().flatten()).reshape(len(ids), params.k)
-        by_id = np.argsort(ids, kind="stable")
-        at = {s: by_id[side[by_id] == s] for s in "pq"}
-        p, q = vec[at["p"]], vec[at["q"]]
-        run_block(kinds[visit], u[order], v[order], r[order], ids[at["p"]], p, ids[at["q"]], q, params)
-        vec[at["p"]], vec[at["q"]] = p, q
-        if not np.isfinite(vec).all():
-            raise FloatingPointError(f"factors diverged in visit {visit}; use a smaller gamma")
-        return pa.Table.from_arrays([state.column("side"), state.column("id"), state.column("stripe"), vectors(vec)], ["side", "id", "stripe", "vec"])
+    return lay_out(ratings.withColumn("o", F.expr(order_expr(order, 1)).cast("long")))
+
+
+def write_state(state: DataFrame, name: str = "state") -> tuple[DataFrame, str]:
+    """state by side and stripe in the shared folder, so that a round reads its stripes only."""
+    path = scratch_path(state.sparkSession, name)
+    state.repartition("side", "stripe").write.partitionBy("side", "stripe").parquet(path)
+    return state.sparkSession.read.schema(STATE).parquet(path).select("side", "id", "stripe", "vec"), path
+
+
+def _lane(params: MFParams, path: str, todo: dict[int, tuple[tuple[int, ...], int, str]]):
+    """One partition: the factors of a visit, whose ratings are read and applied part by part."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if b.num_rows]
+        if not held:
+            return
+        state = pa.Table.from_batches(held).combine_chunks()
+        for visit in np.unique(state.column("visit").to_numpy()).tolist():
+            mine = state.filter(pa.compute.equal(state.column("visit"), visit)).combine_chunks()
+            rows, col, kind = todo[visit]
+            side, ids = mine.column("side").to_numpy(), mine.column("id").to_numpy()
+            vec = np.array(mine.column("vec").combine_chunks().flatten()).reshape(len(ids), params.k)
+            by_id = np.argsort(ids, kind="stable")
+            at = {s: by_id[side[by_id] == s] for s in "pq"}
+            p, q = vec[at["p"]], vec[at["q"]]
+            for u, v, r in in_batches(read_blocks(path, rows, col), max(1, params.batch_width) if kind == "wide" else 1):
+                run_block(kind, u, v, r, ids[at["p"]], p, ids[at["q"]], q, params)
+            vec[at["p"]], vec[at["q"]] = p, q
+            if not np.isfinite(vec).all():
+                raise FloatingPointError(f"factors diverged in visit {visit}; use a smaller gamma")
+            done = pa.Table.from_arrays([mine.column("side"), mine.column("id"), mine.column("stripe"), vectors(vec)], ["side", "id", "stripe", "vec"])
+            yield from done.to_batches(max_chunksize=max(1, (8 << 20) // (8 * params.k)))
 
     return run
 
@@ -60,20 +74,39 @@ def _lookup(keys: dict[int, int], col: Column) -> Column:
     return F.element_at(F.create_map(*pairs), col)
 
 
-def run_rounds(pinned: DataFrame, state: DataFrame, visits: list[Visit], rounds: list[int], params: MFParams) -> DataFrame:
-    """state(side, id, stripe, vec) after all the visits, lazily: one cogroup per round."""
+def _stripes(keys: set[tuple[str, int]]) -> Column:
+    """Condition: the row is of one of the (side, stripe). In terms of partition columns, so that others are not read."""
+    found = F.lit(False)
+    for s in "pq":
+        if mine := sorted(i for side, i in keys if side == s):
+            found = found | ((F.col("side") == s) & F.col("stripe").isin(mine))
+    return found
+
+
+def run_rounds(pinned: Layout, state: DataFrame, visits: list[Visit], rounds: list[int], params: MFParams) -> tuple[DataFrame, list[DataFrame]]:
+    """state(side, id, stripe, vec) after all the visits, lazily, and the tables to unpersist once it is written. Visits without ratings are left out."""
     by_round: dict[int, list[Visit]] = defaultdict(list)
     for v, k in zip(visits, rounds, strict=True):
-        by_round[k].append(v)
+        if v.nnz:
+            by_round[k].append(v)
+    frames, newest = [state], {}  # (side, stripe) -> number of the frame that wrote it last; 0 if none did
     for k in sorted(by_round):
         now = by_round[k]
-        row_visit = {r: i for i, v in enumerate(now) for r in v.rows}
-        col_visit = {v.col: i for i, v in enumerate(now)}
-        pick = _lookup({r: v.col for v in now for r in v.rows}, F.col("row_key")) == F.col("bj")
-        block = pinned.where(pick).withColumn("visit", _lookup(row_visit, F.col("row_key")))
-        used = F.when(F.col("side") == "p", _lookup(row_visit, F.col("stripe"))).otherwise(_lookup(col_visit, F.col("stripe")))
-        rest = -1 - F.when(F.col("side") == "p", F.col("stripe") * 2).otherwise(F.col("stripe") * 2 + 1)
-        keyed = state.withColumn("visit", F.coalesce(used, rest).cast("int"))
-        kinds = {i: v.kind for i, v in enumerate(now)}
-        state = block.groupBy("visit").cogroup(keyed.groupBy("visit")).applyInArrow(_kernel(params, kinds), STATE)
-    return state
+        use = {("p", r): i for i, v in enumerate(now) for r in v.rows} | {("q", v.col): i for i, v in enumerate(now)}
+        sources: dict[int, set] = defaultdict(set)
+        for key in use:
+            sources[newest.get(key, 0)].add(key)
+        parts = [frames[n].where(_stripes(keys)) for n, keys in sorted(sources.items())]
+        used = parts[0]
+        for part in parts[1:]:
+            used = used.unionByName(part)
+        visit = F.when(F.col("side") == "p", _lookup({i: x for (s, i), x in use.items() if s == "p"}, F.col("stripe"))).otherwise(_lookup({i: x for (s, i), x in use.items() if s == "q"}, F.col("stripe")))
+        dealt = used.withColumn("visit", visit.cast("int")).repartitionById(len(now), F.col("visit"))
+        todo = {i: (v.rows, v.col, v.kind) for i, v in enumerate(now)}
+        frames.append(dealt.mapInArrow(_lane(params, pinned.path, todo), STATE).persist())
+        newest |= dict.fromkeys(use, len(frames) - 1)
+    old = frames[0].where(~_stripes(set(newest))) if newest else frames[0]
+    for n, frame in enumerate(frames[1:], 1):
+        if mine := {key for key, at in newest.items() if at == n}:
+            old = old.unionByName(frame.where(_stripes(mine)))
+    return old, frames[1:]

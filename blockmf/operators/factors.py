@@ -6,23 +6,36 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-#: Fixed values of the closed-form start: any engine makes the same vectors.
-STEP_ID, STEP_J, PRIME = 7919, 613, 10007
+#: Constants of the closed-form start: any engine makes the same vectors. Remainders by a prime of 31 bits keep products in BIGINT; the multiplier
+#: depends on the element, and ids above the prime count by their quotient too, so different ids have different vectors.
+PRIME, STEP_ID, TURN_ID, STEP_HIGH, TURN_HIGH, STEP_J, SIDE = 2147483647, 1103515245, 715225739, 16807, 104729, 1181783497, 50331653
+
+
+def _shift(side: str, seed: int) -> int:
+    return seed * 7919 + (0 if side == "p" else SIDE)
 
 
 def init_expr(side: str, k: int, seed: int, scale: float) -> str:
     """SQL text for one element, in id and j."""
-    return f"((id * {STEP_ID} + (j + 1) * {STEP_J} + {seed + (0 if side == 'p' else 5003)}) % {PRIME}) / {PRIME}.0 * {scale}"
+    low = f"(id % {PRIME}) * (({STEP_ID} + j * {TURN_ID}) % {PRIME})"
+    return f"(({low} + (id // {PRIME}) * ({STEP_HIGH} + j * {TURN_HIGH}) + (j + 1) * {STEP_J} + {_shift(side, seed)}) % {PRIME}) / {PRIME}.0 * {scale}"
 
 
 def init_vector(side: str, ids: np.ndarray, k: int, seed: int, scale: float) -> np.ndarray:
-    j = np.arange(1, k + 1)
-    return ((ids[:, None] * STEP_ID + j * STEP_J + seed + (0 if side == "p" else 5003)) % PRIME) / float(PRIME) * scale
+    j, ids = np.arange(k, dtype=np.int64), ids.astype(np.int64)[:, None]
+    low = (ids % PRIME) * ((STEP_ID + j * TURN_ID) % PRIME)
+    return ((low + (ids // PRIME) * (STEP_HIGH + j * TURN_HIGH) + (j + 1) * STEP_J + _shift(side, seed)) % PRIME) / float(PRIME) * scale
 
 
 def _closed(side: str, k: int, seed: int, scale: float) -> Column:
-    shift = seed + (0 if side == "p" else 5003)
-    return F.transform(F.sequence(F.lit(0), F.lit(k - 1)), lambda j: ((F.col("id") * STEP_ID + (j + 1) * STEP_J + shift) % PRIME).cast("double") / float(PRIME) * scale)
+    high = F.expr(f"id div {PRIME}")
+
+    def element(j: Column) -> Column:
+        j = j.cast("long")
+        low = (F.col("id") % PRIME) * ((j * TURN_ID + STEP_ID) % PRIME)
+        return ((low + high * (j * TURN_HIGH + STEP_HIGH) + (j + 1) * STEP_J + _shift(side, seed)) % PRIME).cast("double") / float(PRIME) * scale
+
+    return F.transform(F.sequence(F.lit(0), F.lit(k - 1)), element)
 
 
 def init_factors(ratings: DataFrame, k: int, seed: int = 1, scale: float = 1.0, kind: str = "closed") -> DataFrame:

@@ -84,10 +84,12 @@ def wide_kernel(rows, cols, vals, p, q, params: MFParams) -> None:
 
 
 def _add(m: np.ndarray, ids: np.ndarray, d: np.ndarray, mean: bool) -> None:
-    """Add the sums (or means) of the steps of each vector."""
-    if mean:
-        d = d / np.bincount(ids)[ids][:, None]
-    np.add.at(m, ids, d)
+    """Add the sums (or means) of the steps of each vector: sorted by vector, and each run of one vector added up."""
+    order = np.argsort(ids, kind="stable")
+    ids = ids[order]
+    first = np.flatnonzero(np.concatenate([[True], ids[1:] != ids[:-1]]))
+    total = np.add.reduceat(d[order], first, axis=0)
+    m[ids[first]] += total / np.diff(np.append(first, len(ids)))[:, None] if mean else total
 
 
 def run_block(kind: str, u, v, r, p_ids, p, q_ids, q, params: MFParams) -> None:

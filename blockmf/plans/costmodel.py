@@ -9,13 +9,16 @@ from __future__ import annotations
 
 import math
 import time
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from blockmf.functions.ids import PRIME, mixed
+from blockmf.session import cut
+
 PROBE = "kind string, stage string, size long, rep int, seconds double"
 FORMS = {"line": "size", "log": "ln(size)", "sqrtlog": "sqrt(ln(size))", "sqrt": "sqrt(size)"}
 
@@ -158,70 +161,111 @@ def device_probe(spark: SparkSession, device: str, noise: float = 0.01) -> DataF
     return spark.sql(device_sql(device, noise))
 
 
-def probe_lane(spark: SparkSession, kind: str, params, sizes: list[int], repeats: int = 3) -> DataFrame:
-    """Measured kernel seconds of one lane kind over made-up blocks of the sizes. One task per size; the clock runs inside the task."""
-    from blockmf.operators.kernels import narrow_kernel, wide_kernel
+def probe_sample(ratings: DataFrame, most: int, seed: int = 1) -> DataFrame:
+    """Up to `most` ratings in a shuffled order (place): the rows of a bounded hash range, so the sample is as mixed as the data."""
+    total = ratings.count()
+    h = F.expr(mixed("u * 4099 + v", seed))
+    kept = ratings.where(h < int(PRIME * min(1.0, 1.2 * most / max(total, 1))) + 1)
+    return kept.select("u", "v", "r", h.alias("place")).orderBy("place", "u", "v").limit(most)
+
+
+def probe_lane(sample: DataFrame, kind: str, params, sizes: list[int], repeats: int = 3) -> DataFrame:
+    """Measured seconds of one lane's kernel (as runs use it) on growing prefixes of a shuffled sample(u, v, r, place). One task; the clock runs inside it."""
+    from blockmf.operators.kernels import ordered_kernel, wide_kernel
+
+    kernel = {"narrow": ordered_kernel, "wide": wide_kernel}[kind]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import numpy as np
 
+        held = [b for b in batches if b.num_rows]
+        if not held:
+            return
+        t = pa.Table.from_batches(held)
+        u, v, r = (t.column(c).to_numpy() for c in ("u", "v", "r"))
         rng = np.random.default_rng(3)
-        for b in batches:
-            for size in b.column(0).to_pylist():
-                n = max(8, int(size**0.5))
-                rows, cols, vals = rng.integers(0, n, size), rng.integers(0, n, size), rng.random(size)
-                p, q = rng.random((n, params.k)) * 0.1, rng.random((n, params.k)) * 0.1
-                for rep in range(repeats):
-                    t = time.perf_counter()
-                    {"narrow": narrow_kernel, "wide": wide_kernel}[kind](rows, cols, vals, p, q, params)
-                    yield pa.RecordBatch.from_pydict({"kind": [kind], "stage": ["kernel"], "size": [size], "rep": pa.array([rep], pa.int32()), "seconds": [time.perf_counter() - t]})
-
-    frame = spark.createDataFrame([(s,) for s in sizes], "size long").repartition(len(sizes), "size")
-    return frame.mapInArrow(run, PROBE)
-
-
-def probe_transfer(spark: SparkSession, direction: str, sizes: list[int], repeats: int = 3, row_bytes: int = 24) -> DataFrame:
-    """Measured seconds to move `size` ratings to a lane ('to': JVM to Python) or factors back ('from'), by jobs that do nothing else."""
-    rows = []
-    for size in sizes:
-        for rep in range(repeats):
-            frame = spark.range(size, numPartitions=1).selectExpr("id as u", "id * 2 as v", "id * 0.5D as r")
-            t = time.perf_counter()
-            if direction == "to":
-                frame.mapInArrow(_swallow, "n long").count()
-            else:
-                spark.range(1, numPartitions=1).mapInArrow(_emit(size), "u long, v long, r double").agg(F.sum("r")).collect()
-            rows.append(("wide", direction, size, rep, time.perf_counter() - t))
-    return spark.createDataFrame(rows, PROBE)
+        for size in sorted({min(s, len(u)) for s in sizes}):
+            (ids_u, rows), (ids_v, cols) = (np.unique(x[:size], return_inverse=True) for x in (u, v))
+            p, q = rng.random((len(ids_u), params.k)) * 0.1, rng.random((len(ids_v), params.k)) * 0.1
+            kernel(rows, cols, r[:size], p.copy(), q.copy(), params)  # once without the clock
+            for rep in range(repeats):
+                began = time.perf_counter()
+                kernel(rows, cols, r[:size], p, q, params)
+                yield pa.RecordBatch.from_pydict({"kind": [kind], "stage": ["kernel"], "size": [size], "rep": pa.array([rep], pa.int32()), "seconds": [time.perf_counter() - began]})
 
+    return sample.repartition(1).sortWithinPartitions("place", "u", "v").select("u", "v", "r").mapInArrow(run, PROBE)
 
-def _swallow(batches):
-    n = sum(b.num_rows for b in batches)
-    yield pa.RecordBatch.from_pydict({"n": [n]})
 
+def probe_transfer(sample: DataFrame, direction: str, params, sizes: list[int], repeats: int = 3) -> DataFrame:
+    """Measured seconds to move blocks of a sample to a lane ('to': ratings into a Python worker) or their factors back ('from').
 
-def _emit(size: int):
-    def emit(batches):
-        import numpy as np
+    The clock starts inside the worker, so it counts no job or worker start: on the way in from the first batch that is asked for to the last one that has come, on the
+    way out from the first batch handed over to the moment after the last one was taken."""
+    parts = []
+    for size in sizes:
+        prefix = sample.orderBy("place", "u", "v").limit(size)
+        for rep in range(repeats):
+            parts += prefix.repartition(1).select("u", "v", "r").mapInArrow(_timed(direction, size, rep, params.k), "kind string, stage string, size long, rep int, seconds double, vec array<double>").where("seconds is not null").drop("vec").collect()
+    return sample.sparkSession.createDataFrame([tuple(x) for x in parts], PROBE)
 
-        for _ in batches:
-            for lo in range(0, size, 65536):
-                x = np.arange(lo, min(size, lo + 65536))
-                yield pa.RecordBatch.from_pydict({"u": x, "v": x, "r": x * 0.5})
 
-    return emit
+def _timed(direction: str, size: int, rep: int, k: int):
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        import numpy as np
 
+        from blockmf.operators.kernels import vectors
 
-def estimate_costs(spark: SparkSession, params, path: str | None = None, sizes: tuple[int, ...] = (256, 512, 1024, 2048, 4096, 8192, 16384), repeats: int = 2) -> DataFrame:
-    """Probe -> fit -> (optionally) store: kind, stage, tau, form, a, b, line_a, line_b for both lane kinds. Done once per kind of machine."""
-    kernel = probe_lane(spark, "narrow", params, list(sizes), repeats).unionByName(probe_lane(spark, "wide", params, list(sizes), repeats))
-    rows = kernel.collect()
-    probe = spark.createDataFrame(rows, PROBE)
-    moved = probe_transfer(spark, "to", [s * 16 for s in sizes], repeats)
-    wide = fit_piecewise(probe.where("kind = 'wide'"), "log").unionByName(fit_piecewise(moved, "sqrtlog"))
-    line = fit_line(probe.where("kind = 'narrow'")).select("kind", "stage", F.lit(None).cast("long").alias("tau"), "form", "a", "b", F.lit(None).cast("double").alias("line_a"), F.lit(None).cast("double").alias("line_b"), F.lit(None).cast("long").alias("least"))
-    fit = line.unionByName(wide)
+        def rows(n: int, seconds: float | None, vec: pa.Array) -> pa.RecordBatch:
+            same = lambda x, kind: pa.array([x] * n, kind)
+            return pa.RecordBatch.from_arrays([same("wide", pa.string()), same(direction, pa.string()), same(count, pa.int64()), same(rep, pa.int32()), same(seconds, pa.float64()), vec], ["kind", "stage", "size", "rep", "seconds", "vec"])
+
+        began, count, ids = time.perf_counter(), 0, []
+        for b in batches:
+            count += b.num_rows
+            ids.append((b.column(0).to_numpy(), b.column(1).to_numpy()))
+        took = time.perf_counter() - began
+        if not count:
+            return
+        if direction == "from":
+            n = sum(len(np.unique(np.concatenate(x))) for x in zip(*ids, strict=True))
+            m = np.full((n, k), 0.5)
+            began = time.perf_counter()
+            for lo in range(0, n, 8192):
+                part = m[lo : lo + 8192]
+                yield rows(len(part), None, vectors(part))
+            took = time.perf_counter() - began
+        yield rows(1, took, pa.array([None], pa.list_(pa.float64())))
+
+    return run
+
+
+def estimate_costs(ratings: DataFrame, params, path: str | None = None, sizes: tuple[int, ...] = tuple(1 << i for i in range(9, 17)), repeats: int = 3) -> DataFrame:
+    """Probe -> fit -> (optionally) store: kind, stage, tau, form, a, b, line_a, line_b, least for both lane kinds. Done once per kind of machine; any run can take the stored table.
+
+    Narrow lanes: a line through the times of growing prefixes. Wide lanes: kernel and transfers, each a curve up to its threshold and a line beyond."""
+    spark = ratings.sparkSession
+    sample = cut(probe_sample(ratings, max(sizes)), "probe")
+    n = sample.count()
+    sizes = sorted({min(s, n) for s in sizes})
+    kernel = spark.createDataFrame([tuple(r) for kind in ("narrow", "wide") for r in probe_lane(sample, kind, params, sizes, repeats).collect()], PROBE)
+    moved = probe_transfer(sample, "to", params, sizes, repeats).unionByName(probe_transfer(sample, "from", params, sizes, repeats))
+    wide = fit_piecewise(kernel.where("kind = 'wide'"), "log").unionByName(fit_piecewise(moved, "sqrtlog"))
+    fit = line_rows(fit_line(kernel.where("kind = 'narrow'"))).unionByName(wide)
     if path:
         fit.coalesce(1).write.mode("overwrite").parquet(path)
         return spark.read.parquet(path)
-    return fit
+    return cut(fit, "fit")
+
+
+def line_rows(fit: DataFrame) -> DataFrame:
+    """Straight lines in the columns of fit_piecewise()."""
+    empty = {"tau": "long", "line_a": "double", "line_b": "double", "least": "long"}
+    return fit.select("kind", "stage", F.lit(None).cast("long").alias("tau"), "form", "a", "b", *[F.lit(None).cast(t).alias(c) for c, t in empty.items() if c != "tau"])
+
+
+def cost_of(fit: DataFrame, how: str = "max3") -> Callable[[str, float], float]:
+    """The fits of estimate_costs() as the cost function that plans take."""
+    m = models(fit)
+    back = m.get(("wide", "from"))
+    wide = combine(m["wide", "to"], m["wide", "kernel"], back, how if back or how == "max" else "max")
+    return lambda kind, size: m["narrow", "kernel"](size) if kind == "narrow" else wide(size)

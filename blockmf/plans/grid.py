@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -26,13 +27,18 @@ class FinalGrid:
     narrow_rows: int
 
 
-def final_grid(n: int, w: int, steal: bool = True) -> FinalGrid:
+def final_grid(n: int, w: int, steal: bool = True, finer: int = 1) -> FinalGrid:
     """Columns: current and next block of each wide lane, one per narrow lane, one spare. With stealing, both regions must
-    have rows for all lanes: narrow rows n + w, wide rows w with enough sub-rows each."""
-    cols = n + 2 * w + 1
+    have rows for all lanes: narrow rows n + w, wide rows w with enough sub-rows each. finer: times as many rows and columns (see finer_for)."""
+    cols = (n + 2 * w + 1) * finer
     if not steal:
-        return FinalGrid(cols, w, 1, n)
-    return FinalGrid(cols, w, -(-(n + w) // w) if w else 1, n + w if n else 0)
+        return FinalGrid(cols, w * finer, 1, n * finer)
+    return FinalGrid(cols, w * finer, -(-(n + w) // w) if w else 1, (n + w) * finer if n else 0)
+
+
+def finer_for(ratings: int, blocks: int, budget: int) -> int:
+    """By how much rows and columns must grow so that a mean block of a grid of `blocks` blocks holds at most `budget` ratings."""
+    return max(1, math.ceil(math.sqrt(ratings / max(1, blocks * budget))))
 
 
 @dataclass(frozen=True)
@@ -128,10 +134,13 @@ def split_regions(ratings: DataFrame, alpha: float) -> tuple[int, int, int]:
     return border, got[1] or 0, total
 
 
-def region_grid(ratings: DataFrame, alpha: float, n: int, w: int, steal: bool = True, by: str = "nnz") -> tuple[FinalGrid, list[Stripe], list[Stripe]]:
+def region_grid(ratings: DataFrame, alpha: float, n: int, w: int, steal: bool = True, by: str = "nnz", budget: int | None = None) -> tuple[FinalGrid, list[Stripe], list[Stripe]]:
     """Final division: (grid, row stripes, column stripes). Row stripes are numbered through: wide sub-rows first (wide row * sub + sub-row), then narrow rows."""
     grid = final_grid(n, w, steal)
-    border, _, _ = split_regions(ratings, alpha)
+    border, wide, total = split_regions(ratings, alpha)
+    if budget:  # a wide block is a whole wide row in a column
+        finer = max(finer_for(wide, grid.cols * max(1, grid.wide_rows), budget), finer_for(total - wide, grid.cols * max(1, grid.narrow_rows), budget))
+        grid = final_grid(n, w, steal, finer)
     counts = ratings.groupBy("pu").agg(F.count(F.lit(1)).alias("n"))
     rows: list[Stripe] = []
     for region, cond, k in (("wide", F.col("pu") < border, grid.wide_rows * grid.sub), ("narrow", F.col("pu") >= border, grid.narrow_rows)):

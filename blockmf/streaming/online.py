@@ -81,16 +81,21 @@ def online_sgd(ratings: DataFrame, factors: DataFrame, params: MFParams, name: s
     """Serial steps on each micro-batch in order of event_id, over versions of the factors (one table per batch, so a restart goes on from the last).
 
     A batch's users are independent only through their items, so the batch is one block here; large deployments use train() on it."""
-    from blockmf.operators.executor import run_rounds
+    from blockmf.operators.executor import run_rounds, write_state
     from blockmf.plans.scheduler import Visit
+    from blockmf.sources.blocks import lay_out
 
     spark = ratings.sparkSession
-    versions = [cut(factors.withColumn("stripe", F.lit(0)).select("side", "id", "stripe", "vec"), name)]
-    visit = Visit(0, 0, "narrow", (0,), 0, 0, "static", 0.0, 1.0)
+    versions = [write_state(factors.withColumn("stripe", F.lit(0)).select("side", "id", "stripe", "vec"), name)[0]]
+    visit = Visit(0, 0, "narrow", (0,), 0, 1, "static", 0.0, 1.0)
 
     def step(batch: DataFrame, batch_id: int) -> None:
         rows = batch.select("u", "v", "r", F.lit(0).alias("row_key"), F.lit(0).alias("bj"), F.col("event_id").alias("o"))
-        versions.append(cut(run_rounds(rows, versions[-1], [visit], [0], params), name))
+        pinned = lay_out(rows)
+        after, kept = run_rounds(pinned, versions[-1], [visit], [0], params)
+        versions.append(write_state(after, name)[0])
+        kept[0].unpersist()
+        pinned.remove(spark)
 
     ratings.writeStream.foreachBatch(step).option("checkpointLocation", scratch_path(spark, f"{name}-state")).trigger(availableNow=True).start().awaitTermination()
     return [v.select("side", "id", "vec") for v in versions]
