@@ -1,10 +1,12 @@
 """MinHash near-dedup: improved consistent weighted sampling over TF-IDF shingles, banded, verified by weighted Jaccard similarity.
 
 A document is a weighted set of shingles of five words (words: runs without white space, A-Z in lower case). The weight of a
-shingle is (1 + ln tf) * idf, with idf = 1 + damping * ln((1 + N) / (1 + df)) / ln(1 + N): document frequencies are counted over all
-documents, in a sketch of fixed size (a count per hash slot; slots only ever raise df, and every document sees the same
-df, so weights stay consistent). The damping keeps idf in [1, 1 + damping]: with an undamped idf the shingles
-that a large group of near copies shares would weigh next to nothing and the group would fall below the threshold.
+shingle is (1 + ln tf) * idf, with idf = 1 + damping * ln(1 / share) / ln(1 / rare): share is its exact document frequency over the number of
+documents, and `rare` (1 / 1024) stands for all shares below it. So idf depends on shares alone, not on the size of the corpus, and only shingles
+in at least that share of all documents need a table: there are at most (shingles of a mean document) / rare of them, however many documents there
+are. They are found in two passes: counts per hash slot, which can only be too high, name the slots that may hold one; the shingles in these slots are then
+counted exactly. The damping keeps idf in [1, 1 + damping]: with an undamped idf the shingles that a large
+group of near copies shares would weigh next to nothing and the group would fall below the threshold.
 
 1. Texts that are equal as shingle sequences (128-bit hash) form one class; its least id stands for it from here on.
 2. Signatures: `bands` bands of `rows` samples by improved consistent weighted sampling. Samples of equal shingles and
@@ -14,10 +16,10 @@ that a large group of near copies shares would weigh next to nothing and the gro
    some thousand times (only the best one if all but one sample agree). Members that are sure of none of them meet
    again in finer buckets (of two bands), so that a bucket which mixes several groups comes apart.
 4. Pairs are verified on the whole texts by weighted Jaccard similarity of at least `threshold`; connected components of the links.
-5. What the representatives have left apart: all members of a bucket that are in different components meet, in blocks of bounded size.
-   At first each is verified with the most alike and the most central one of a block only (a hub of copies is central), then, with the
-   components grown, with every one that agrees in enough samples. Pairs within a component can add nothing. So the classes are the
-   components of all links between documents that share a bucket.
+5. What the representatives have left apart: all members of a bucket that are in different components meet, in blocks of bounded size (rows and bytes).
+   At first each is verified with the most alike and the most central one of a block only (a hub of copies is central). Then, with the
+   components grown, the blocks get the texts and verify, in the first bucket that a pair shares, every pair that agrees in enough samples and is still apart;
+   only links leave a block, and no more than join its members. So the classes are the components of all links between documents that share a bucket.
 
 Edge cases. Null or empty text, texts below `shingle` words: the words there are form one shingle; texts without words
 are all equal. Rows that repeat an id: one document. Rows without an id: in no class. Very long texts: hashed in slices. Empty table: empty result.
@@ -27,6 +29,7 @@ from __future__ import annotations
 
 import math
 from collections.abc import Iterator
+from dataclasses import dataclass
 from itertools import chain
 
 import numpy as np
@@ -34,12 +37,12 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockmf.llm.common import cut, text_or_empty
+from blockmf.llm.common import cut, text_bytes, text_or_empty
 from blockmf.llm.components import connected_components
 from blockmf.llm.suffix_dedup import U64, RangeHash, mix, text_buffer
 
-SLOTS = 1 << 21  # of the df sketch: 8 MB as 32-bit counts
-CHUNK = 1024  # members of a bucket on either side of a block
+RARE = 1 / 1024  # least share of documents that idf tells apart
+CHUNK, CHUNK_BYTES = 1024, 16 << 20  # members of a bucket and bytes of their texts on either side of a block
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
 _IS_SPACE = np.zeros(256, bool)
@@ -143,18 +146,73 @@ def _add_counts(parts: pa.Table) -> pa.Table:
     return pa.Table.from_pydict({"block": [parts.column("block")[0].as_py()], "counts": [np.minimum(total, 2**31 - 1).astype("<i4").tobytes()], "docs": [docs]}, schema=_COUNTS)
 
 
-def idf_table(docs: DataFrame, size: int = 5, slots: int = SLOTS, damping: float = 0.25, text_col: str = "text") -> np.ndarray:
-    """idf per hash slot, from all documents. Slots travel in blocks and are summed in two steps; the driver gets the sketch (4 bytes a slot)."""
+@dataclass(frozen=True)
+class Idf:
+    """idf by shingle hash: a table of the shingles that are in at least a share `rare` of the documents; all others have the greatest value."""
+
+    hashes: np.ndarray  # ascending
+    values: np.ndarray
+    most: float
+    slots: np.ndarray  # of each hash slot, whether the table may hold one of its shingles
+
+    def __call__(self, h: np.ndarray) -> np.ndarray:
+        out = np.full(len(h), self.most, np.float32)
+        if len(self.hashes):
+            at = np.flatnonzero(self.slots[(h % U64(len(self.slots))).astype(np.intp)])
+            place = np.minimum(np.searchsorted(self.hashes, h[at]), len(self.hashes) - 1)
+            known = self.hashes[place] == h[at]
+            out[at[known]] = self.values[place[known]]
+        return out
+
+
+def _count_exactly(size: int, maybe: np.ndarray, keep: int = 1 << 20):
+    """Counts of the shingles in the slots that may hold a frequent one; summed in the task while there are at most `keep` of them."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[np.ndarray] = []
+        n = 0
+
+        def flush() -> pa.RecordBatch:
+            h, times = np.unique(np.concatenate(held), return_counts=True)
+            held.clear()
+            return pa.RecordBatch.from_arrays([pa.array(h.view(np.int64)), pa.array(times.astype(np.int64))], ["h", "n"])
+
+        for b in batches:
+            data, ends = text_buffer(b.column(0))
+            for i, j in _cut_batch(data, ends):
+                lo = int(ends[i - 1]) if i else 0
+                _, h, _ = _distinct(*shingles(data[lo : int(ends[j - 1])], ends[i:j] - lo, size))
+                held.append(h[maybe[(h % U64(len(maybe))).astype(np.intp)]])
+                n += len(held[-1])
+                if n >= keep:
+                    yield flush()
+                    n = 0
+        if n:
+            yield flush()
+
+    return count
+
+
+def idf_table(docs: DataFrame, size: int = 5, damping: float = 0.25, rare: float = RARE, text_col: str = "text") -> Idf:
+    """idf from the document frequencies of all documents. Slots travel in blocks and are summed in two steps; the driver gets one count per slot (their number
+    depends on the mean length of the documents) and the table of frequent shingles."""
     ddl = "block int, counts binary, docs long"
-    slots = max(slots, 1 << 16)
-    rows = docs.select(text_or_empty(text_col).alias("text")).mapInArrow(_count_df(size, slots), ddl)
-    salted = rows.withColumn("salt", F.pmod(F.xxhash64("counts"), F.lit(16)))
+    texts = docs.select(text_or_empty(text_col).alias("text"))
+    n, total = text_bytes(texts)
+    shingles_each = total / max(n, 1) / 4 + 1  # words have three letters and a space at least, on average
+    slots = 1 << max(16, min(24, math.ceil(math.log2(2 * shingles_each / rare))))
+    salted = texts.mapInArrow(_count_df(size, slots), ddl).withColumn("salt", F.pmod(F.xxhash64("counts"), F.lit(16)))
     some = salted.groupBy("block", "salt").applyInArrow(lambda t: _add_counts(t.drop_columns(["salt"])), ddl)
-    df, n = np.zeros(slots, np.float64), 0
-    for r in some.groupBy("block").applyInArrow(_add_counts, ddl).collect():
+    df = np.zeros(slots, np.int32)
+    for r in some.groupBy("block").applyInArrow(_add_counts, ddl).toLocalIterator():
         df[r["block"] << 16 : (r["block"] + 1) << 16] = np.frombuffer(r["counts"], "<i4")
-        n += r["docs"]
-    return (1 + damping * np.log((1 + n) / (1 + np.minimum(df, n))) / max(math.log(1 + n), 1e-9)).astype(np.float32)
+    least = max(1, math.ceil(rare * n))
+    maybe = df >= least
+    counts = texts.mapInArrow(_count_exactly(size, maybe), "h long, n long").groupBy("h").agg(F.sum("n").alias("n")).where(F.col("n") >= least).toPandas()
+    order = np.argsort(counts["h"].to_numpy().astype(np.int64).view(U64))
+    h, share = counts["h"].to_numpy().astype(np.int64).view(U64)[order], counts["n"].to_numpy().astype(np.float64)[order] / max(n, 1)
+    values = 1 + damping * np.log(1 / np.clip(share, rare, 1)) / math.log(1 / rare)
+    return Idf(h, values.astype(np.float32), 1 + damping, maybe)
 
 
 def icws(doc: np.ndarray, h: np.ndarray, ln_w: np.ndarray, n_docs: int, samples: int) -> np.ndarray:
@@ -178,7 +236,7 @@ def icws(doc: np.ndarray, h: np.ndarray, ln_w: np.ndarray, n_docs: int, samples:
     return out
 
 
-def _signatures(size: int, samples: int, idf: np.ndarray):
+def _signatures(size: int, samples: int, idf: Idf):
     def sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             data, ends = text_buffer(b.column(1))
@@ -194,19 +252,19 @@ def _signatures(size: int, samples: int, idf: np.ndarray):
                     c = np.concatenate([np.zeros(1, U64), np.cumsum(mix(h ^ mix(at * U64(odd))), dtype=U64)])
                     prints.append(pa.array(mix(c[end] - c[first]).view(np.int64)))
                 d, u, tf = _distinct(doc, h)
-                ln_w = np.log((1 + np.log(tf.astype(np.float32))) * idf[(u % U64(len(idf))).astype(np.intp)])
+                ln_w = np.log((1 + np.log(tf.astype(np.float32))) * idf(u))
                 code = icws(d, u, ln_w, n, samples)
                 sig = pa.FixedSizeListArray.from_arrays(pa.array(code.view(np.int32).ravel()), samples).cast(pa.list_(pa.int32()))
-                yield pa.RecordBatch.from_arrays([b.column(0).slice(i, n), *prints, sig], ["doc_id", "fp1", "fp2", "sig"])
+                yield pa.RecordBatch.from_arrays([b.column(0).slice(i, n), *prints, sig, pa.array(np.diff(ends[i:j], prepend=lo))], ["doc_id", "fp1", "fp2", "sig", "size"])
 
     return sign
 
 
-def _weigh(text: str, size: int, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def _weigh(text: str, size: int, idf: Idf) -> tuple[np.ndarray, np.ndarray]:
     raw = np.frombuffer(text.encode(), np.uint8)
     _, h = shingles(raw, np.array([len(raw)]), size)
     _, u, tf = _distinct(np.zeros(len(h), np.int64), h)
-    return u, (1 + np.log(tf.astype(np.float64))) * idf[(u % U64(len(idf))).astype(np.intp)]
+    return u, (1 + np.log(tf.astype(np.float64))) * idf(u)
 
 
 def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.ndarray]) -> float:
@@ -216,7 +274,7 @@ def weighted_jaccard(a: tuple[np.ndarray, np.ndarray], b: tuple[np.ndarray, np.n
     return least / most if most else 1.0
 
 
-def _verify(size: int, idf: np.ndarray):
+def _verify(size: int, idf: Idf):
     def verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         last: tuple | None = None
         for batch in batches:
@@ -231,33 +289,31 @@ def _verify(size: int, idf: np.ndarray):
 
 
 def _met_reps(members: DataFrame, reps: int) -> DataFrame:
-    """members(key, doc_id, sig) -> key, doc_id, sig, met: array of (agree, rep), best first: samples shared with the bucket's representatives.
+    """members(key, doc_id, sig, more columns) -> the same with met: array of (agree, rep), best first: samples shared with the bucket's representatives.
     The first representative is least under one order for all buckets, the others under orders of each bucket."""
     orders = [F.xxhash64(F.col("doc_id"), F.lit(0)) if t == 0 else F.xxhash64(F.col("doc_id"), F.col("key"), F.lit(t)) for t in range(reps)]
     of = [F.min(F.struct(o.alias("x"), F.col("doc_id").alias("i"), F.col("sig").alias("s"))).alias(f"r{t}") for t, o in enumerate(orders)]
     chosen = members.groupBy("key").agg(F.count(F.lit(1)).alias("n"), *of).where("n > 1")
     met = members.join(chosen.select("key", F.array(*[f"r{t}" for t in range(reps)]).alias("reps")), "key")
     agree = F.expr("transform(filter(reps, r -> r.i != doc_id), r -> struct(aggregate(zip_with(sig, r.s, (x, y) -> int(x = y)), 0, (a, e) -> a + e) as agree, r.i as rep))")
-    return met.select("key", "doc_id", "sig", F.sort_array(F.array_distinct(agree), asc=False).alias("met"))
+    return met.select(*members.columns, F.sort_array(F.array_distinct(agree), asc=False).alias("met"))
 
 
 def candidate_pairs(heads: DataFrame, bands: int, rows: int, reps: int, least: int, sure: int) -> tuple[DataFrame, DataFrame]:
-    """heads(doc_id, sig) -> buckets of two members and more (key, doc_id, sig); distinct pairs (a, b), a < b, with representatives."""
+    """heads(doc_id, sig, size) -> buckets of two members and more (key, band, doc_id, sig, size); distinct pairs (a, b), a < b, with representatives."""
     samples = bands * rows
     keys = F.array(*[F.xxhash64(F.lit(i), F.slice("sig", i * rows + 1, rows)) for i in range(bands)])
-    coarse = cut(_met_reps(heads.select(F.explode(keys).alias("key"), "doc_id", "sig"), reps), "buckets")
+    coarse = cut(_met_reps(heads.select(F.posexplode(keys).alias("band", "key"), "doc_id", "sig", "size"), reps), "buckets")
     loose = coarse.where(F.get("met", F.lit(0))["agree"] < sure).select("key", "doc_id", "sig")
     fine = _met_reps(loose.select(F.explode(F.transform(keys, lambda k: F.xxhash64("key", k))).alias("key"), "doc_id", "sig"), reps)
     # all that may be near; if the best is all but equal, what is near to it is near to its other neighbours through it
     kept = F.expr(f"if(get(met, 0).agree >= {samples - 1}, slice(met, 1, 1), filter(met, m -> m.agree >= {least}))")
     met = coarse.select("doc_id", kept.alias("met")).unionByName(fine.select("doc_id", kept.alias("met"))).select("doc_id", F.explode("met").alias("m"))
-    return coarse.select("key", "doc_id", "sig"), met.select(F.least("doc_id", "m.rep").alias("a"), F.greatest("doc_id", "m.rep").alias("b")).distinct()
+    return coarse.drop("met"), met.select(F.least("doc_id", "m.rep").alias("a"), F.greatest("doc_id", "m.rep").alias("b")).distinct()
 
 
-def _block_pairs(agree: np.ndarray, ok: np.ndarray, picked: bool, both: bool) -> tuple[np.ndarray, np.ndarray]:
-    """Places of the pairs of a block. picked: for each row (both: and column) the most alike and the most central partner only."""
-    if not picked:
-        return np.nonzero(ok)
+def _block_pairs(agree: np.ndarray, ok: np.ndarray, both: bool) -> tuple[np.ndarray, np.ndarray]:
+    """Places of the pairs of each row of a block (both: and of each column) with its most alike and its most central partner."""
     value = np.where(ok, agree, 0).astype(np.int64)
     rows, cols = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
     for v, i, j in ((value, rows, cols), (value.T, cols, rows))[: 1 + both]:
@@ -269,14 +325,42 @@ def _block_pairs(agree: np.ndarray, ok: np.ndarray, picked: bool, both: bool) ->
     return np.concatenate(rows), np.concatenate(cols)
 
 
-def _cross(samples: int, least: int, picked: bool):
+def _apart(c, texts, i, j, size: int, idf: Idf, threshold: float) -> tuple[list[int], list[int]]:
+    """Places of the pairs (i, j) of a block that are links and join what no link found before has joined. Each text is weighed once."""
+    root = {x: x for x in c.tolist()}
+
+    def find(x):
+        while root[x] != x:
+            root[x] = x = root[root[x]]
+        return x
+
+    weighed: dict[int, tuple] = {}
+
+    def weight(k):
+        if k not in weighed:
+            weighed[k] = _weigh(texts[k].as_py(), size, idf)
+        return weighed[k]
+
+    left, right = [], []
+    for x, y in zip(i.tolist(), j.tolist(), strict=True):
+        a, b = find(c[x]), find(c[y])
+        if a != b and weighted_jaccard(weight(x), weight(y)) >= threshold:
+            root[a] = b
+            left.append(x)
+            right.append(y)
+    return left, right
+
+
+def _cross(samples: int, rows: int, least: int, verify: tuple | None):
+    """verify: None for the pairs of each member with the most alike and the most central one; (size, idf, threshold) for all links."""
+
     def cross(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: pa.Table | None = None  # the last block may go on in the next batch
         for batch in chain(batches, [None]):
             parts = [t for t in (held, None if batch is None else pa.Table.from_batches([batch])) if t is not None]
             if not parts or not (t := pa.concat_tables(parts).combine_chunks()).num_rows:
                 continue
-            key, x, y, chunk, both, doc, c = (t.column(n).to_numpy() for n in ("key", "x", "y", "chunk", "both", "doc_id", "c"))
+            key, x, y, chunk, both, doc, c, band = (t.column(n).to_numpy() for n in ("key", "x", "y", "chunk", "both", "doc_id", "c", "band"))
             starts = np.flatnonzero(np.concatenate([[True], (key[1:] != key[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])]))
             ends = np.concatenate([starts[1:], [len(key)]])
             if batch is not None:
@@ -288,34 +372,51 @@ def _cross(samples: int, least: int, picked: bool):
                 same = x[lo] == y[lo]
                 left, right = (at, at) if same else (at[chunk[lo:hi] == x[lo]], at[chunk[lo:hi] == y[lo]])
                 ok = c[left][:, None] != c[right]
+                if same:
+                    ok &= left[:, None] < right if verify else True
                 if not ok.any():
                     continue
-                agree = np.zeros(ok.shape, np.int16)
-                for k in range(samples):
-                    agree += sig[left, k][:, None] == sig[right, k]
-                i, j = _block_pairs(agree, ok & (agree >= least), picked, bool(both[lo]) and not same)
-                a.append(np.minimum(doc[left[i]], doc[right[j]]))
-                b.append(np.maximum(doc[left[i]], doc[right[j]]))
-            a, b = np.concatenate(a), np.concatenate(b)
+                agree, seen = np.zeros(ok.shape, np.int16), np.zeros(ok.shape, bool)
+                for k in range(0, samples, rows):
+                    equal = [sig[left, m][:, None] == sig[right, m] for m in range(k, k + rows)]
+                    agree += np.sum(equal, axis=0, dtype=np.int16)
+                    if verify and k // rows < band[lo]:
+                        seen |= np.logical_and.reduce(equal)  # the pair meets in the bucket of an earlier band
+                ok &= (agree >= least) & ~seen
+                if verify:
+                    i, j = np.nonzero(ok)
+                    best = np.argsort(-agree[i, j], kind="stable")
+                    i, j = _apart(c, t.column("text"), left[i[best]], right[j[best]], *verify)
+                else:
+                    i, j = _block_pairs(agree, ok, bool(both[lo]) and not same)
+                    i, j = left[i], right[j]
+                a.append(np.minimum(doc[i], doc[j]))
+                b.append(np.maximum(doc[i], doc[j]))
+            a, b = np.concatenate(a).astype(np.int64), np.concatenate(b).astype(np.int64)
             for lo in range(0, len(a), 1 << 16):
                 yield pa.RecordBatch.from_arrays([pa.array(a[lo : lo + (1 << 16)]), pa.array(b[lo : lo + (1 << 16)])], ["a", "b"])
 
     return cross
 
 
-def cross_pairs(buckets: DataFrame, label: DataFrame, samples: int, least: int, picked: bool) -> DataFrame:
-    """buckets(key, doc_id, sig), label(doc_id, c) -> distinct pairs (a, b), a < b, of a bucket that are in different components c.
+def cross_pairs(buckets: DataFrame, label: DataFrame, samples: int, rows: int, least: int, base: DataFrame | None = None, verify: tuple | None = None) -> DataFrame:
+    """buckets(key, band, doc_id, sig, size), label(doc_id, c) -> distinct pairs (a, b), a < b, of a bucket that are in different components c: candidates, or
+    links if verify = (shingle size, idf, threshold) and base(doc_id, text) are given.
 
     The members of a bucket's largest component meet the others, and the others meet each other, in blocks of two chunks."""
-    per = buckets.select("key", "doc_id").join(label, "doc_id").groupBy("key", "c").agg(F.count(F.lit(1)).alias("n"))
-    mixed = per.groupBy("key").agg(F.max(F.struct("n", "c")).alias("most"), F.sum("n").alias("n"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
-    sizes = mixed.select("key", F.col("most.c").alias("major"), F.expr(f"int(ceil((n - most.n) / {CHUNK}))").alias("gu"), F.expr(f"int(ceil(most.n / {CHUNK}))").alias("gl"))
-    rows = buckets.join(sizes, "key").join(label, "doc_id")
-    rows = rows.withColumn("chunk", F.expr("int(if(c = major, gu + pmod(xxhash64(doc_id, key), gl), pmod(xxhash64(doc_id, key), gu)))"))
+    per = buckets.select("key", "doc_id", "size").join(label, "doc_id").groupBy("key", "c").agg(F.count(F.lit(1)).alias("n"), F.sum("size").alias("b"))
+    mixed = per.groupBy("key").agg(F.max(F.struct("n", "c", "b")).alias("most"), F.sum("n").alias("n"), F.sum("b").alias("b"), F.count(F.lit(1)).alias("parts")).where("parts > 1")
+    chunks = lambda n, b: f"int(greatest(1, ceil(({n}) / {CHUNK}), ceil(({b}) / {CHUNK_BYTES})))"
+    sizes = mixed.select("key", F.col("most.c").alias("major"), F.expr(chunks("n - most.n", "b - most.b")).alias("gu"), F.expr(chunks("most.n", "most.b")).alias("gl"))
+    members = buckets.join(sizes, "key").join(label, "doc_id")
+    members = members.withColumn("chunk", F.expr("int(if(c = major, gu + pmod(xxhash64(doc_id, key), gl), pmod(xxhash64(doc_id, key), gu)))"))
+    columns = ["doc_id", "c", "sig"]
+    if verify:
+        members, columns = members.join(base, "doc_id"), [*columns, "text"]
     blocks = F.expr("filter(transform(sequence(0, gu + gl - 1), i -> struct(least(i, chunk) as x, greatest(i, chunk) as y)), z -> z.x < gu)")
-    dealt = rows.select("key", "doc_id", "c", "sig", "chunk", "gu", F.explode(blocks).alias("z")).select("key", "z.x", "z.y", "chunk", F.expr("z.y < gu").alias("both"), "doc_id", "c", "sig")
+    dealt = members.select("key", "band", *columns, "chunk", "gu", F.explode(blocks).alias("z")).select("key", "z.x", "z.y", "chunk", F.expr("z.y < gu").alias("both"), "band", *columns)
     ordered = dealt.repartition("key", "x", "y").sortWithinPartitions("key", "x", "y")
-    return ordered.mapInArrow(_cross(samples, least, picked), "a long, b long").distinct()
+    return ordered.mapInArrow(_cross(samples, rows, least, verify), "a long, b long").distinct()
 
 
 def _merged(label: DataFrame, links: DataFrame) -> DataFrame:
@@ -332,30 +433,29 @@ def near_classes(docs: DataFrame, threshold: float = 0.8, size: int = 5, bands:
     samples = bands * rows
     spread = math.sqrt(samples * threshold * (1 - threshold))
     least, sure = math.floor(samples * threshold - 3.2 * spread), math.floor(samples * threshold - spread)
-    signed = cut(base.mapInArrow(_signatures(size, samples, idf), "doc_id long, fp1 long, fp2 long, sig array<int>"), "signatures")
+    signed = cut(base.mapInArrow(_signatures(size, samples, idf), "doc_id long, fp1 long, fp2 long, sig array<int>, size long"), "signatures")
     # copies meet their head by fingerprint and salt, so that a group of copies with a third of all rows is dealt over many tasks
     salted = signed.select("doc_id", "fp1", "fp2", F.pmod(F.xxhash64("doc_id"), F.lit(32)).alias("salt"))
     parts = salted.groupBy("fp1", "fp2", "salt").agg(F.min("doc_id").alias("least"))
     same = parts.groupBy("fp1", "fp2").agg(F.min("least").alias("head"))
     known = parts.select("fp1", "fp2", "salt").join(same, ["fp1", "fp2"])
     member = cut(salted.join(known, ["fp1", "fp2", "salt"]).select("doc_id", "head").distinct(), "heads")
-    heads = signed.join(member.where("doc_id = head").select("doc_id"), "doc_id", "left_semi").select("doc_id", "sig")
+    heads = signed.join(member.where("doc_id = head").select("doc_id"), "doc_id", "left_semi").select("doc_id", "sig", "size")
     buckets, pairs = candidate_pairs(heads, bands, rows, reps, least, sure)
     tried, label = cut(pairs, "pairs"), heads.select("doc_id", F.col("doc_id").alias("c"))
     label = _merged(label, _links(base, tried, size, idf, threshold))
-    for picked in (True, False):
-        new = cut(cross_pairs(buckets, label, samples, least, picked).join(tried, ["a", "b"], "left_anti"), "cross")
-        label = _merged(label, _links(base, new, size, idf, threshold))
-        tried = tried.unionByName(new)
+    new = cut(cross_pairs(buckets, label, samples, rows, least).join(tried, ["a", "b"], "left_anti"), "cross")
+    label = _merged(label, _links(base, new, size, idf, threshold))
+    label = _merged(label, cut(cross_pairs(buckets, label, samples, rows, least, base, (size, idf, threshold)), "links"))
     classes = label.withColumnsRenamed({"doc_id": "head", "c": "class_id"})
     return member.join(classes, "head").select("doc_id", "class_id")
 
 
-def _links(base: DataFrame, pairs: DataFrame, size: int, idf: np.ndarray, threshold: float) -> DataFrame:
+def _links(base: DataFrame, pairs: DataFrame, size: int, idf: Idf, threshold: float) -> DataFrame:
     return cut(verify_pairs(base, pairs, size, idf).where(F.col("sim") >= threshold).select("a", "b").distinct(), "links")
 
 
-def verify_pairs(base: DataFrame, pairs: DataFrame, size: int, idf: np.ndarray) -> DataFrame:
+def verify_pairs(base: DataFrame, pairs: DataFrame, size: int, idf: Idf) -> DataFrame:
     """pairs (a, b) -> a, b, sim. Each text is read with its pairs only: texts go to their pairs by id, once for either side."""
     left = pairs.join(base.select(F.col("doc_id").alias("a"), F.col("text").alias("text_a")), "a")
     both = left.join(base.select(F.col("doc_id").alias("b"), F.col("text").alias("text_b")), "b")
@@ -363,8 +463,8 @@ def verify_pairs(base: DataFrame, pairs: DataFrame, size: int, idf: np.ndarray)
     return ordered.mapInArrow(_verify(size, idf), "b long, a long, sim double").select("a", "b", "sim")
 
 
-def drop_near_copies(docs: DataFrame, threshold: float = 0.8, **options) -> DataFrame:
-    """The rows of docs that stay: of each class the document with the least id."""
-    keep = near_classes(docs, threshold, **options).where("doc_id = class_id").select(F.col("doc_id").alias("_keep"))
-    rest = docs.where(F.col("doc_id").isNull())
-    return docs.join(keep, docs["doc_id"] == keep["_keep"], "left_semi").unionByName(rest)
+def drop_near_copies(docs: DataFrame, threshold: float = 0.8, id_col: str = "doc_id", **options) -> DataFrame:
+    """The rows of docs that stay: of each class the document with the least id; rows without an id stay. Columns of docs may have any names."""
+    keep = near_classes(docs, threshold, id_col=id_col, **options).where("doc_id = class_id").select(F.col("doc_id").alias("_kept_id"))
+    unnamed = F.col(id_col).isNull()
+    return docs.where(~unnamed).join(keep, F.col(id_col).cast("long") == F.col("_kept_id"), "left_semi").unionByName(docs.where(unnamed))
