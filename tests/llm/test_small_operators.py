@@ -38,10 +38,22 @@ def test_exact_dedup_is_brute_force(edge, stays, weak):
 def test_exact_dedup_filter_and_empty(edge, spark):
     rows = exact_dedup.drop_copies(edge)
     assert rows.columns == edge.columns
-    assert sorted(r.doc_id for r in rows.collect() if r.doc_id) == [2, 6, 7, 8, 9]
+    assert sorted((r.doc_id or -1) for r in rows.collect()) == [-1, 2, 6, 7, 8, 9]
     assert exact_dedup.exact_groups(spark.createDataFrame([], DOCS)).count() == 0
 
 
+@pytest.mark.parametrize("weak", [False, True])
+def test_exact_dedup_leaves_one_row_of_each_text(spark, weak):
+    hash_of = (lambda c: F.substring(c, 1, 1)) if weak else exact_dedup.content_hash
+    rows = [(3, "Y"), (None, "y"), (None, "y"), (None, "x"), (None, "x"), (None, "X"), (7, "one"), (7, "two"), (7, "one"), (2, "two"), (9, "ytt"), (-4, ""), (None, None)]
+    docs = spark.createDataFrame(rows, DOCS).repartition(3).withColumn("row", F.lit("clash")).withColumn("rank", F.lit(1)).withColumn("m", F.create_map(F.lit("a"), F.lit(1)))
+    for stays, want in (("max", [("", -4), ("one", 7), ("two", 7), ("x", None), ("y", 3), ("ytt", 9)]), ("min", [("", -4), ("one", 7), ("two", 2), ("x", None), ("y", 3), ("ytt", 9)])):
+        out = exact_dedup.drop_copies(docs, stays=stays, hash_of=hash_of)
+        assert out.dtypes == docs.dtypes
+        assert sorted((lower(r.text), r.doc_id) for r in out.collect()) == want
+    assert exact_dedup.drop_copies(spark.createDataFrame([], DOCS)).count() == 0
+
+
 def edits(p, t):
     """Least distance of p to a substring of t, by the plain table."""
     row = [0] * (len(t) + 1)
@@ -72,15 +84,19 @@ def test_decontamination(spark):
     bench = spark.createDataFrame([(1, ITEM), (2, None), (3, "short"), (4, ITEM.replace("fox", "cat").replace("noon", "dusk")), (4, "zzz yyy xxx www vvv uuu ttt sss")], "item_id long, text string")
     changed = ITEM.replace("brown", "brwn").replace("lazy", "lazzy").upper()
     broken = ITEM[:40] + "#" * 12 + ITEM[52:]
-    rows = [(1, None), (2, ""), (3, f"before {ITEM} after"), (4, changed.replace(" ", "\n  ")), (5, broken), (6, "word " * 60_000 + ITEM), (7, ITEM[: len(ITEM) // 2]), (3, "clean"), (None, ITEM)]
+    rows = [(1, None), (2, ""), (3, f"before {ITEM} after"), (4, changed.replace(" ", "\n  ")), (5, broken), (6, "word " * 60_000 + ITEM), (7, ITEM[: len(ITEM) // 2]), (3, "clean"), (None, ITEM), (8, "a SHORT one"), (9, "shorts, ashort"), (9, "(short)")]
     docs = spark.createDataFrame(rows, DOCS).withColumn("items", F.lit(1))
+    results = []
     for chars in (4_000_000, 60):  # one block and several
-        got = decontaminate.contamination(docs, bench, block_chars=chars).collect()
-        if chars > 60:
-            assert [(r.doc_id, r.contaminated) for r in got] == [(1, False), (2, False), (3, True), (4, True), (5, False), (6, True), (7, False), (3, False), (None, True)]
-        else:
-            assert {r.doc_id for r in got if r.contaminated} == {3, 4, 6, None}
-    assert sorted(r.doc_id for r in decontaminate.clean_rows(docs, bench, block_chars=60).collect()) == [1, 2, 3, 5, 7]
+        got = [(r.doc_id, r.contaminated, r["items"], r.edits) for r in decontaminate.contamination(docs, bench, block_chars=chars).collect()]
+        want = [(1, False, [], None), (2, False, [], None), (3, True, [1, 4], 0), (4, True, [1], 2), (5, False, [], None), (6, True, [1, 4], 0), (7, False, [], None), (3, False, [], None), (None, True, [1, 4], 0), (8, True, [3], 0), (9, False, [], None), (9, True, [3], 0)]
+        assert sorted((r[:2] for r in got), key=str) == sorted((r[:2] for r in want), key=str)
+        assert all(r[1] == bool(r[2]) == (r[3] is not None) for r in got)
+        kept = decontaminate.clean_rows(docs, bench, block_chars=chars).collect()
+        assert sorted((r.doc_id, r.text) for r in kept if r.doc_id == 9) == [(9, "shorts, ashort")]
+        assert sorted(r.doc_id for r in kept) == [1, 2, 3, 5, 7, 9]
+        results.append(sorted(got, key=str))
+    assert results[0] == results[1]
     empty = spark.createDataFrame([], "item_id long, text string")
     assert not any(r.contaminated for r in decontaminate.contamination(docs, empty).collect())
     assert decontaminate.clean_rows(docs, empty).count() == len(rows)
@@ -180,6 +196,59 @@ def test_html_rendering():
     assert html_text.extract("<script>never closed") == ""
 
 
+def test_html_preformatted_spans_and_drawings():
+    assert html_text.extract("<pre>line1\n<b>line2</b>\n\nline3\n</pre>x") == "line1\nline2\n\nline3\n\nx"
+    assert html_text.extract("<pre>\n\n a<br>b</pre>") == "\n a\nb"
+    assert html_text.extract("<table><tr><td rowspan=2>a<td>b<tr><td>c</table>") == "a  b\n   c"
+    assert html_text.extract("<table><tr><td>1<td rowspan=3>long<td>x<tr><td>2<td>y<tr><td colspan=1>3<td>z</table>") == "1  long  x\n2        y\n3        z"
+    assert html_text.extract("<dialog>no</dialog><dialog open>yes</dialog>") == "yes"
+    assert html_text.extract("a<svg><title>no</title><path d='M0'/><g><text x=1>drawn</text></g></svg>b") == "a drawn b"
+    assert html_text.extract("<math><mi>x</mi><mo>=</mo><mn>2</mn><annotation>no</annotation></math>") == "x=2"
+    assert html_text.extract('<a "b>text</a> <i x="1 > 2">y</i') == "text y"
+    assert html_text.extract("<table><tr><td>" + "w" * 300 + "<td>b<tr><td>c<td>d</table>") == "w" * 300 + "  b\nc  d"
+
+
+@pytest.mark.parametrize("unit", ['<a "', "<a x='", "<b></i>", "<li><span>", "<p><button><span>", "<span><div></div>", "<table><td rowspan=9 colspan=999>x", "<tr><td>x", "</", "<!-", "<pre>\n", "<svg><text>", "&amp;"])
+def test_html_time_is_linear(unit):
+    import time
+
+    page = unit * ((1 << 20) // len(unit))
+    began = time.process_time()
+    html_text.extract(page)
+    html_text.extract("<b>" * 100_000 + "</i>" * 100_000 + "<p>" + "<span>" * 50_000 + "<div></div>" * 50_000) if unit == "<b></i>" else None
+    assert time.process_time() - began < 8
+
+
+def test_html_words_of_a_made_tree():
+    """Random well-formed pages: the words come out in their order, hidden ones do not, and each block starts a line."""
+    import random
+
+    r = random.Random(4)
+    for _ in range(60):
+        shown, number = [], iter(range(10**6))
+
+        def make(depth, seen):
+            out = []
+            for _ in range(r.randrange(1, 5)):
+                kind = r.randrange(6) if depth else 0
+                if kind == 0:
+                    w = f"w{next(number)}"
+                    out.append(f" {w} ")
+                    shown.extend([w] if seen else [])  # noqa: B023
+                elif kind == 1:
+                    out.append(f"<script>var x{next(number)}='<p>';</script><!-- <b>c -->")
+                else:
+                    tag = r.choice(["div", "section", "span", "b", "ul", "em", "template", "blockquote", "dialog"])
+                    hide = r.random() < 0.15
+                    out.append(f"<{tag}{' hidden' if hide else r.choice(['', ' class=\"a > b\"', ' data-x=1'])}>")
+                    out.append(make(depth - 1, seen and not hide and tag not in ("template", "dialog")))
+                    out.append(f"</{tag}>")
+            return "".join(out)
+
+        page = make(5, True)
+        assert html_text.extract(page).split() == shown
+
+
 def test_html_edges(spark):
     rows = [(1, None), (2, ""), (3, PAGE), (3, PAGE), (None, "<p>x"), (4, "<p>" + "word " * 200_000)]
     pages = spark.createDataFrame(rows, "page_id long, html string").withColumn("text", F.lit(5))
