@@ -32,10 +32,10 @@ def pin_ratings(ratings: DataFrame, order: str = "hash") -> Layout:
     return lay_out(ratings.withColumn("o", F.expr(order_expr(order, 1)).cast("long")))
 
 
-def write_state(state: DataFrame, name: str = "state") -> tuple[DataFrame, str]:
-    """state by side and stripe in the shared folder, so that a round reads its stripes only."""
-    path = scratch_path(state.sparkSession, name)
-    state.repartition("side", "stripe").write.partitionBy("side", "stripe").parquet(path)
+def write_state(state: DataFrame, name: str = "state", path: str | None = None) -> tuple[DataFrame, str]:
+    """state by side and stripe in the shared folder, so that a round reads its stripes only. What is at a given path is replaced."""
+    path = path or scratch_path(state.sparkSession, name)
+    state.repartition("side", "stripe").write.mode("overwrite").partitionBy("side", "stripe").parquet(path)
     return state.sparkSession.read.schema(STATE).parquet(path).select("side", "id", "stripe", "vec"), path
 
 

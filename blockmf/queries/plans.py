@@ -131,15 +131,25 @@ def running_sum(spark, sf_dir):
 _EVEN = {(i, j): 1000 for i in range(3) for j in range(4)}
 
 
-@query("SELECT 'wide' AS kind, true AS more_than_half, true AS starved")
+def _table(visits) -> str:
+    """A schedule as a table in SQL text: the oracle recomputes what a query reports about it."""
+    rounds = compile_rounds(visits)
+    rows = ", ".join(f"({v.visit}, {v.lane_id}, '{v.kind}', {r}, {v.col}, {v.nnz}, '{v.phase}', {v.t_start!r}, {v.t_end!r}, {k})" for v, k in zip(visits, rounds, strict=True) for r in v.rows)
+    return f"s(visit, lane, kind, i, j, nnz, phase, t0, t1, round) AS (SELECT visit, lane, kind, i, j, nnz, phase, CAST(t0 AS DOUBLE), CAST(t1 AS DOUBLE), round FROM (VALUES {rows}) t(visit, lane, kind, i, j, nnz, phase, t0, t1, round))"
+
+
+def _frame(spark, visits) -> DataFrame:
+    return schedule_frame(spark, visits, compile_rounds(visits))
+
+
+_RUN = simulate(_EVEN, lanes_of(2, 1), speeds(1, 10), Policy("greedy", count="visits", tie="index"), passes=6)
+
+
+@query(f"WITH {_table(_RUN)} SELECT i AS \"row\", count(*) FILTER (kind = 'wide') AS wide_visits, count(*) FILTER (t0 < 2000) AS early_visits FROM s GROUP BY i")
 def sched_running_example(spark, sf_dir):
     """3 x 4 grid, two narrow lanes and a wide lane ten times as fast: while narrow lanes hold their blocks the wide lane goes over one row again and again."""
-    v = simulate(_EVEN, lanes_of(2, 1), speeds(1, 10), Policy("greedy", count="visits", tie="index"), passes=6)
-    frame = schedule_frame(spark, v)
-    wide = frame.where("kind = 'wide'")
-    top = wide.groupBy("row").count().agg(F.max("count").alias("m"))
-    early = frame.where(F.col("t_start") < 2000).groupBy("row", "col").count().agg(F.max("count").alias("most"), F.min("count").alias("least"))
-    return wide.agg(F.count(F.lit(1)).alias("n")).crossJoin(top).crossJoin(early).select(F.lit("wide").alias("kind"), (F.col("m") * 3 > F.col("n")).alias("more_than_half"), (F.col("most") >= 3 * F.col("least")).alias("starved"))  # one row each
+    f = _frame(spark, _RUN)
+    return f.groupBy("row").agg(F.count_if(F.col("kind") == "wide").alias("wide_visits"), F.count_if(F.col("t_start") < 2000).alias("early_visits"))
 
 
 @query("SELECT i AS \"row\", i AS col FROM range(3) t(i)")
@@ -160,59 +170,72 @@ _GROUPS = ((0, 1, 2), (3, 4, 5))
 _REGIONS = {(i, j): (400 if i < 6 else 300) + (i * 7 + j * 13) % 50 for i in range(12) for j in range(9)}
 
 
-def _conflicts(frame: DataFrame) -> DataFrame:
-    a = frame.select(*[F.col(c).alias(f"a_{c}") for c in ("visit", "row", "col", "t_start", "t_end")])
-    b = frame.select(*[F.col(c).alias(f"b_{c}") for c in ("visit", "row", "col", "t_start", "t_end")])
-    over = F.expr("a_visit < b_visit AND a_t_start < b_t_end - 1e-12 AND b_t_start < a_t_end - 1e-12")
-    found = a.join(b, (F.col("a_row") == F.col("b_row")) & over).unionByName(a.join(b, (F.col("a_col") == F.col("b_col")) & over))
-    return found.agg(F.count(F.lit(1)).alias("conflicts"))
+_GREEDY = simulate({(i, j): 500 + (i * 31 + j * 17) % 97 for i in range(7) for j in range(6)}, lanes_of(4, 2), speeds(1, 7), Policy("greedy"), passes=3)
+_STEAL = simulate(_REGIONS, lanes_of(4, 2), speeds(1, 4), Policy("static+steal", "both", lookahead=True), passes=3, groups=_GROUPS)
+_AUTO = simulate(_REGIONS, lanes_of(4, 2), speeds(1, 4), Policy("static+steal", "auto"), passes=3, groups=_GROUPS)
+_CONFLICT_SQL = """ SELECT (SELECT count(*) FROM (SELECT DISTINCT visit FROM s) x) AS visits, (SELECT count(*) FROM s a JOIN s b ON a.visit < b.visit AND a.t0 < b.t1 - 1e-12 AND b.t0 < a.t1 - 1e-12 AND (a.i = b.i OR a.j = b.j)) AS conflicts,
+(SELECT count(*) FROM s a JOIN s b ON a.visit < b.visit AND a.round = b.round AND (a.i = b.i OR a.j = b.j)) AS shared"""
 
 
-@query("SELECT CAST(0 AS BIGINT) AS conflicts")
+def _conflicts(frame: DataFrame) -> DataFrame:
+    """Visits; pairs of their rows that overlap in time, and that are in one round, and share a stripe."""
+    a = frame.select(*[F.col(c).alias(f"a_{c}") for c in ("visit", "row", "col", "t_start", "t_end", "round")])
+    b = frame.select(*[F.col(c).alias(f"b_{c}") for c in ("visit", "row", "col", "t_start", "t_end", "round")])
+    first, met = F.expr("a_visit < b_visit"), []
+    for same in ("row", "col"):
+        met.append(a.join(b, (F.col(f"a_{same}") == F.col(f"b_{same}")) & first & (F.lit(True) if same == "row" else F.expr("a_row != b_row"))))
+    over = F.expr("a_t_start < b_t_end - 1e-12 AND b_t_start < a_t_end - 1e-12")
+    found = met[0].unionByName(met[1]).agg(F.count_if(over).alias("conflicts"), F.count_if(F.col("a_round") == F.col("b_round")).alias("shared"))
+    return frame.agg(F.countDistinct("visit").alias("visits")).crossJoin(found)  # one row each
+
+
+@query(f"WITH {_table(_GREEDY)}{_CONFLICT_SQL}")
 def sched_conflict_free(spark, sf_dir):
-    v = simulate({(i, j): 500 + (i * 31 + j * 17) % 97 for i in range(7) for j in range(6)}, lanes_of(4, 2), speeds(1, 7), Policy("greedy"), passes=3)
-    return _conflicts(schedule_frame(spark, v))
+    return _conflicts(_frame(spark, _GREEDY))
 
 
-@query("SELECT CAST(0 AS BIGINT) AS conflicts")
+@query(f"WITH {_table(_STEAL)}{_CONFLICT_SQL}")
 def sched_full_conflict_free(spark, sf_dir):
-    v = simulate(_REGIONS, lanes_of(4, 2), speeds(1, 4), Policy("static+steal", "both", lookahead=True), passes=3, groups=_GROUPS)
-    return _conflicts(schedule_frame(spark, v))
+    return _conflicts(_frame(spark, _STEAL))
 
 
-@query("SELECT CAST(324 AS BIGINT) AS updates, CAST(3 AS BIGINT) AS least, CAST(3 AS BIGINT) AS most")
+@query("SELECT CAST(i AS INT) AS \"row\", CAST(j AS INT) AS col, CAST(3 AS BIGINT) AS updates FROM range(12) a(i), range(9) b(j)")
 def sched_full_even(spark, sf_dir):
     """Every block (and sub-block) exactly once per pass."""
-    v = simulate(_REGIONS, lanes_of(4, 2), speeds(1, 4), Policy("static+steal", "auto"), passes=3, groups=_GROUPS)
-    c = schedule_frame(spark, v).groupBy("row", "col").count()
-    return c.agg(F.sum("count").alias("updates"), F.min("count").alias("least"), F.max("count").alias("most"))
+    return _frame(spark, _AUTO).groupBy("row", "col").agg(F.count(F.lit(1)).alias("updates"))
 
 
-@query("SELECT CAST(0 AS BIGINT) AS shared")
+@query(f"WITH {_table(_STEAL)} SELECT round, count(DISTINCT visit) AS visits, count(DISTINCT i) AS \"rows\", count(DISTINCT j) AS cols, count(*) AS blocks FROM s GROUP BY round")
 def sched_rounds_independent(spark, sf_dir):
-    """Visits of one round share no stripe."""
-    v = simulate(_REGIONS, lanes_of(4, 2), speeds(1, 4), Policy("static+steal", "both"), passes=2, groups=_GROUPS)
-    s = schedule_frame(spark, v, compile_rounds(v))
-    a, b = s.select("round", F.col("visit").alias("va"), F.col("row").alias("ra"), F.col("col").alias("ca")), s.select("round", F.col("visit").alias("vb"), F.col("row").alias("rb"), F.col("col").alias("cb"))
-    return a.join(b, "round").where("va < vb AND (ra = rb OR ca = cb)").agg(F.count(F.lit(1)).alias("shared"))
+    """Visits, row stripes, columns and blocks of each round: as many columns as visits, as many row stripes as blocks, so no two visits share a stripe."""
+    return _frame(spark, _STEAL).groupBy("round").agg(F.countDistinct("visit").alias("visits"), F.countDistinct("row").alias("rows"), F.countDistinct("col").alias("cols"), F.count(F.lit(1)).alias("blocks"))
+
+
+_UNI = simulate({(i, j): 1000 for i in range(4) for j in range(3)}, lanes_of(2, 1), speeds(1, 10), Policy("greedy", count="visits"), passes=12)
+_TWO = simulate({(i, j): 1000 for i in range(6) for j in range(5)}, lanes_of(2, 1), speeds(1, 10), Policy("static", count="visits", steal="none"), passes=12, groups=((0, 1, 2),))
 
 
-@query("SELECT true AS full_is_even, true AS uniform_is_skewed")
+def _spread(name: str) -> str:
+    return f"SELECT '{name}' AS grid, CAST(min(n) AS BIGINT) AS least, CAST(max(n) AS BIGINT) AS most, round(stddev_pop(n) / avg(n), 6) AS cv FROM (SELECT count(*) AS n FROM s WHERE t0 < 4000 GROUP BY i, j) c"
+
+
+@query(f"SELECT * FROM (WITH {_table(_UNI)} {_spread('uniform')}) a UNION ALL SELECT * FROM (WITH {_table(_TWO)} {_spread('two_regions')}) b")
 def sched_skew(spark, sf_dir):
-    """Update counts: visits chosen greedily on the uniform grid against the two-region division."""
-    uni = simulate({(i, j): 1000 for i in range(4) for j in range(3)}, lanes_of(2, 1), speeds(1, 10), Policy("greedy", count="visits", tie="index"), passes=8)
-    full = simulate({(i, j): 1000 for i in range(6) for j in range(5)}, lanes_of(2, 1), speeds(1, 10), Policy("static+steal", "auto"), passes=8, groups=((0, 1, 2),))
-    a = measures.update_skew(schedule_frame(spark, uni).where("t_start < 4000")).select(F.col("cv").alias("uniform"))
-    b = measures.update_skew(schedule_frame(spark, full)).select(F.col("cv").alias("full"))
-    return a.crossJoin(b).select((F.col("full") < 0.05).alias("full_is_even"), (F.col("uniform") > F.col("full")).alias("uniform_is_skewed"))  # one row each
+    """Update counts after the same virtual time, by the same rule (least updated block first, ties by hash, equal counts not forced): uniform grid against two regions."""
+    out = None
+    for name, v in (("uniform", _UNI), ("two_regions", _TWO)):
+        s = measures.update_skew(_frame(spark, v).where("t_start < 4000")).select(F.lit(name).alias("grid"), "least", "most", F.round("cv", 6).alias("cv"))
+        out = s if out is None else out.unionByName(s)
+    return out
+
 
+_DEQUE = simulate({(i, j): 100 * (1 + i * 4 + j) for i in range(5) for j in range(4)}, lanes_of(2, 1), speeds(1, 4), Policy("deque"))
 
-@query("SELECT 'narrow' AS kind, true AS small_first UNION ALL SELECT 'wide', false")
+
+@query(f"WITH {_table(_DEQUE)} SELECT kind, min(nnz) AS least, max(nnz) AS most, round(corr(t0, nnz), 6) AS order_by_size FROM s GROUP BY kind")
 def sched_deque(spark, sf_dir):
     """Narrow lanes take from the small end, wide lanes from the large end."""
-    v = simulate({(i, j): 100 * (1 + i * 4 + j) for i in range(5) for j in range(4)}, lanes_of(2, 1), speeds(1, 4), Policy("deque"))
-    s = schedule_frame(spark, v)
-    return s.groupBy("kind").agg((F.corr("t_start", "nnz") > 0).alias("small_first"))
+    return _frame(spark, _DEQUE).groupBy("kind").agg(F.min("nnz").alias("least"), F.max("nnz").alias("most"), F.round(F.corr("t_start", F.col("nnz").cast("double")), 6).alias("order_by_size"))
 
 
 @query("SELECT CAST(s AS INT) AS round, CAST(i AS INT) AS \"row\", CAST((i + s) % 3 AS INT) AS col FROM range(3) t(s), range(3) u(i)")
@@ -221,24 +244,29 @@ def sched_strata(spark, sf_dir):
     return schedule_frame(spark, v, compile_rounds(v)).select("round", "row", "col")
 
 
-@query("SELECT true AS auto_never_slower, true AS steal_helps_small_share")
+_SMALL_SHARE = {(i, j): 300 if i < 3 else 1500 for i in range(6) for j in range(5)}
+_MODES = {(name, steal): simulate(_SMALL_SHARE, lanes_of(2, 1), speeds(1, 8), Policy(name, steal), 2, ((0, 1, 2),)) for name, steal in (("static", "none"), ("static+steal", "auto"), ("static+steal", "both"))}
+
+
+@query(" UNION ALL ".join(f"SELECT * FROM (WITH {_table(v)} SELECT '{steal}' AS steal, round(max(t1), 6) AS makespan, count(DISTINCT visit) FILTER (phase = 'dynamic') AS stolen FROM s) m" for (_, steal), v in _MODES.items()))
 def sched_stealing(spark, sf_dir):
-    nnz = {(i, j): 300 if i < 3 else 1500 for i in range(6) for j in range(5)}
-    run = lambda name, steal: makespan(simulate(nnz, lanes_of(2, 1), speeds(1, 8), Policy(name, steal), 2, ((0, 1, 2),)))
-    static, auto, both = run("static", "none"), run("static+steal", "auto"), run("static+steal", "both")
-    return rows(spark, [(auto <= static + 1e-9, both < static)], "auto_never_slower boolean, steal_helps_small_share boolean")
+    """Virtual time and stolen visits with a share that is too small for the wide lane: stealing shortens it, and 'auto' is never slower than none."""
+    out = None
+    for (_, steal), v in _MODES.items():
+        s = _frame(spark, v).agg(F.lit(steal).alias("steal"), F.round(F.max("t_end"), 6).alias("makespan"), F.countDistinct(F.when(F.col("phase") == "dynamic", F.col("visit"))).alias("stolen"))
+        out = s if out is None else out.unionByName(s)
+    return out
 
 
-@query("SELECT CAST(0 AS BIGINT) AS failures, true AS all_visited")
+@query("SELECT CAST(0 AS BIGINT) AS failures, CAST(54 AS BIGINT) AS narrow_blocks")
 def sched_lookahead(spark, sf_dir):
-    """With the column rule a wide lane always finds its next block and every narrow block is visited."""
+    """With the column rule a wide lane always finds its next block (no failed reservation) and every narrow block (6 rows, 9 columns) is visited."""
     from blockmf.plans.scheduler import _Clock
 
     nnz = {(i, j): 200 + (i * 11 + j * 29) % 40 for i in range(12) for j in range(9)}
     clock = _Clock(nnz, lanes_of(4, 2), speeds(1, 9), Policy("static", count="visits", lookahead=True), 6, _GROUPS)
-    v = clock.run()
-    seen = {(r, x.col) for x in v for r in x.rows}
-    return rows(spark, [(clock.failed_lookahead, all((r, c) in seen for r in range(6, 12) for c in range(9)))], "failures long, all_visited boolean")
+    seen = _frame(spark, clock.run()).where("row >= 6").select("row", "col").distinct().agg(F.count(F.lit(1)).alias("narrow_blocks"))
+    return seen.select(F.lit(clock.failed_lookahead).cast("long").alias("failures"), "narrow_blocks")
 
 
 @query("SELECT kind, CAST(n AS INT) AS lanes, round(busy, 4) AS busy, round(1 - busy / 7000.0, 4) AS idle FROM (VALUES ('narrow', 1, 7000.0), ('wide', 1, 3500.0)) t(kind, n, busy)")
@@ -354,13 +382,16 @@ def cost_line_error(spark, sf_dir):
     return cm.model_error(p, cm.fit_line(p)).select("kind", "stage", F.round("mape", 4).alias("mape"))
 
 
-@query("SELECT 'kernel' AS stage, true AS own_model_wins")
+@query(_probe("saturating") + f""", {_TAU}, s AS (SELECT a.size, a.seconds, tau, a.size / a.seconds AS speed, ln(a.size) AS x FROM a JOIN t USING (kind, stage) WHERE kind = 'wide' AND stage = 'kernel'),
+f AS (SELECT regr_slope(CASE WHEN size <= tau THEN speed END, CASE WHEN size <= tau THEN x END) AS a, regr_intercept(CASE WHEN size <= tau THEN speed END, CASE WHEN size <= tau THEN x END) AS b, regr_slope(CASE WHEN size >= tau THEN seconds END, CASE WHEN size >= tau THEN size END) AS la,
+regr_intercept(CASE WHEN size >= tau THEN seconds END, CASE WHEN size >= tau THEN size END) AS lb, regr_slope(seconds, size) AS sa, regr_intercept(seconds, size) AS sb FROM s)
+SELECT round(avg(abs((sa * size + sb) / seconds - 1)), 4) AS line, round(avg(abs(CASE WHEN size > tau THEN la * size + lb ELSE size / (a * x + b) END / seconds - 1)), 4) AS own FROM s, f""")
 def cost_model_wins(spark, sf_dir):
-    """On a saturating device the piecewise model errs less than the line."""
+    """On a saturating device the piecewise model errs less than the line: mean relative errors of both."""
     p = cm.device_probe(spark, "saturating").where("kind = 'wide' and stage = 'kernel'")
-    a = cm.model_error(p, cm.fit_line(p)).select("stage", F.col("mape").alias("line"))
-    b = cm.model_error(p, cm.fit_piecewise(p, "log")).select("stage", F.col("mape").alias("own"))
-    return a.join(b, "stage").select("stage", (F.col("own") < F.col("line")).alias("own_model_wins"))
+    a = cm.model_error(p, cm.fit_line(p)).select("stage", F.round("mape", 4).alias("line"))
+    b = cm.model_error(p, cm.fit_piecewise(p, "log")).select("stage", F.round("mape", 4).alias("own"))
+    return a.join(b, "stage").select("line", "own")
 
 
 @query(_probe("saturating") + " SELECT kind, stage, size, round(size / seconds, 0) AS speed FROM a")
@@ -375,10 +406,25 @@ def cost_alpha_edges(spark, sf_dir):
     return rows(spark, [(bal.balance(f, f, 1e6, 4, 0), bal.balance(f, f, 1e6, 0, 2))], "no_wide double, no_narrow double")
 
 
-@query("SELECT true AS close")
+@query("""WITH g AS (SELECT i / 1000.0 AS alpha, abs((2e-7 * i / 1000.0 * 1e7 + 0.01) / 2 - 1e-6 * (1 - i / 1000.0) * 1e7 / 4) AS gap FROM range(1001) t(i))
+SELECT 'grid' AS method, round(arg_min(alpha, gap), 5) AS alpha FROM g UNION ALL SELECT m, round((1e-6 * 1e7 / 4 - 0.01 / 2) / (1e7 * (2e-7 / 2 + 1e-6 / 4)), 5) FROM (VALUES ('bisect'), ('closed')) t(m)""")
 def cost_alpha_methods(spark, sf_dir):
-    """Bisection, grid and closed form agree; per-block evaluation moves the share of a saturating device."""
+    """The share by bisection, by a grid of 1,000 steps, and in closed form, on straight lines."""
     w, n = (lambda s: 2e-7 * s + 0.01), (lambda s: 1e-6 * s)
-    a, b, c = bal.balance(w, n, 1e7, 4, 2), bal.balance(w, n, 1e7, 4, 2, "grid"), bal.balance_lines((2e-7, 0.01), (1e-6, 0.0), 1e7, 4, 2)
-    return rows(spark, [(abs(a - b) < 2e-3 and abs(a - c) < 1e-6,)], "close boolean")
+    got = [("bisect", bal.balance(w, n, 1e7, 4, 2)), ("grid", bal.balance(w, n, 1e7, 4, 2, "grid")), ("closed", bal.balance_lines((2e-7, 0.01), (1e-6, 0.0), 1e7, 4, 2))]
+    return rows(spark, [(m, round(a, 5)) for m, a in got], "method string, alpha double")
+
+
+_SAT = cm.DEVICES["saturating"]
+
+
+@query(f"""WITH g AS (SELECT i / 1000.0 AS alpha, 1e7 * i / 1000.0 / 9.0 AS wide, 1e7 * (1 - i / 1000.0) / 54.0 AS narrow FROM range(1, 1000) t(i)),
+t AS (SELECT alpha, 9 * greatest({_SAT['wide', 'to'].replace('size', 'wide')}, {_SAT['wide', 'kernel'].replace('size', 'wide')}) AS tw, 54 * ({_SAT['narrow', 'kernel'].replace('size', 'narrow')}) / 5 AS tn FROM g)
+SELECT round(arg_min(alpha, abs(tw - tn)), 2) AS alpha FROM t""")
+def cost_alpha_saturating(spark, sf_dir):
+    """The share on a saturating device, block by block: bisected on the device's closed form, which the grid in SQL must meet to 0.01."""
+    import math
 
+    kernel, to = (lambda s: s / (1e6 * math.log(min(s, 1048576)) - 6e6)), (lambda s: s / (4e6 * math.sqrt(math.log(min(s, 262144))) - 8e6))
+    wide = bal.per_block(lambda s: max(to(s), kernel(s)) if s > 1000 else s * 1e-6, 9)
+    return rows(spark, [(round(bal.balance(wide, bal.per_block(lambda s: s * 1e-6, 54), 1e7, 5, 1), 2),)], "alpha double")

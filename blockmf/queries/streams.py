@@ -4,10 +4,9 @@ from __future__ import annotations
 
 from pyspark.sql import functions as F
 
-from blockmf.operators.factors import flat, init_factors
+from blockmf.operators.factors import flat, init_expr, init_factors
 from blockmf.operators.params import MFParams
-from blockmf.operators.serial import recursive_sql
-from blockmf.sources.tables import rating_view, view_sql
+from blockmf.sources.tables import rating_view
 from blockmf.streaming import online as s
 
 QUERIES, SQL = {}, {}
@@ -65,7 +64,16 @@ def stream_follow_ups(spark, sf_dir):
     return s.drain(s.follow_ups(_events(spark, sf_dir)), "follow")
 
 
-@query()
+def _error_sql() -> str:
+    """The watermark closes the windows that end before the newest event less its delay."""
+    element = lambda side: f"list_transform(range(4), lambda j: {init_expr(side, 4, 1, 1.0)})"
+    return f"""WITH x AS (SELECT date_trunc('day', ts) AS start, value / 20 AS r, user_id, CAST(hour(ts) AS BIGINT) AS h FROM events),
+u AS (SELECT id, {element('p')} AS p FROM (SELECT DISTINCT user_id AS id FROM x) a), v AS (SELECT id, {element('q')} AS q FROM (SELECT DISTINCT h AS id FROM x) b)
+SELECT start, round(sqrt(avg(power(r - list_inner_product(p, q), 2))), 5) AS rmse, count(*) AS n FROM x JOIN u ON u.id = user_id JOIN v ON v.id = h
+WHERE start < (SELECT date_trunc('day', max(ts) - INTERVAL 10 MINUTE) FROM events) GROUP BY start"""
+
+
+@query(_error_sql())
 def stream_online_error(spark, sf_dir):
     r = rating_view(spark, sf_dir, "user_hour")
     f = init_factors(r, 4)
@@ -76,14 +84,23 @@ def stream_online_error(spark, sf_dir):
 P1 = MFParams(k=4, epochs=1)
 
 
-@query(recursive_sql("SELECT dense_rank() OVER (ORDER BY event_id) AS step, user_id AS u, CAST(hour(ts) AS BIGINT) AS v, value / 20 AS r FROM events WHERE user_id % 10 = 0", P1).replace(
-    "(SELECT DISTINCT u AS id FROM one)", f"(SELECT DISTINCT u AS id FROM ({view_sql('user_hour')}) z WHERE u % 10 = 0)").replace("(SELECT DISTINCT v AS id FROM one)", f"(SELECT DISTINCT v AS id FROM ({view_sql('user_hour')}) z)"))
+@query()
 def stream_online_sgd(spark, sf_dir):
-    """Serial steps by event for the tenth of the users that the recursive SQL can follow; stream_online_sgd_all is the whole run."""
-    r = rating_view(spark, sf_dir, "user_hour")
-    f = init_factors(r, P1.k, P1.seed, P1.scale).where("side = 'q' or id % 10 = 0")
-    rows = s.as_ratings(_events(spark, sf_dir)).where("u % 10 = 0")
-    return flat(s.online_sgd(rows, f, P1)[-1])
+    """Steps by event over all events and users, in four micro-batches: the error of each version on all events. Tested against a serial loop."""
+    from blockmf.operators.measures import rmse
+    from blockmf.session import scratch_path
+
+    ratings = rating_view(spark, sf_dir, "user_hour")
+    f = init_factors(ratings, P1.k, P1.seed, P1.scale)
+    path = scratch_path(spark, "event-files")
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    events.repartitionByRange(4, "event_id").write.parquet(path)
+    versions = s.online_sgd(s.as_ratings(s.event_stream(spark, path)), f, P1)
+    out = None
+    for n, v in enumerate(versions):
+        e = rmse(ratings, v).select(F.lit(n).alias("version"), F.round("rmse", 5).alias("rmse"), "n")
+        out = e if out is None else out.unionByName(e)
+    return out
 
 
 @query()
@@ -93,12 +110,34 @@ def stream_online_sgd_all(spark, sf_dir):
     return flat(s.online_sgd(s.as_ratings(_events(spark, sf_dir)), f, P1)[-1])
 
 
-@query("SELECT user_id AS u, count(*) AS n FROM events GROUP BY 1")
+_Q = {h: [0.1 * (1 + (h + j) % 3) for j in range(4)] for h in range(24)}
+_STATE_SQL = f"""WITH RECURSIVE q(h, y) AS (VALUES {", ".join(f"({h}, {y})" for h, y in _Q.items())}),
+e AS (SELECT user_id AS u, row_number() OVER (PARTITION BY user_id ORDER BY event_id) AS n, value / 20 AS r, CAST(y AS DOUBLE[]) AS y FROM events JOIN q ON q.h = hour(ts)),
+s(u, n, vec) AS (SELECT DISTINCT u, CAST(0 AS BIGINT), CAST([0.1, 0.1, 0.1, 0.1] AS DOUBLE[]) FROM e
+  UNION ALL SELECT s.u, e.n, list_transform(range(1, 5), lambda j: vec[j] + {P1.gamma} * ((e.r - list_inner_product(vec, e.y)) * e.y[j] - {P1.lam_p} * vec[j])) FROM s JOIN e ON e.u = s.u AND e.n = s.n + 1),
+m AS (SELECT u, max(n) AS n FROM s GROUP BY u)
+SELECT u, n, CAST(i AS INT) AS pos, round(vec[i + 1], 6) AS value FROM s JOIN m USING (u, n), range(4) t(i)"""
+
+
+@query(_STATE_SQL)
 def stream_user_state(spark, sf_dir):
-    """Vectors as keyed state; here the number of steps each has seen."""
+    """Vectors as keyed state, after all events: the last row of each user."""
     from blockmf.session import scratch_path
 
-    q = {h: [0.1 * (1 + (h + j) % 3) for j in range(4)] for h in range(24)}
     out = scratch_path(spark, "user-state")
-    s.into_batches(s.per_user_state(s.as_ratings(_events(spark, sf_dir)), q, P1), lambda batch, i: batch.write.mode("append").parquet(out), "state")
-    return spark.read.parquet(out).groupBy("u").agg(F.max("n").alias("n"))
+    s.into_batches(s.per_user_state(s.as_ratings(_events(spark, sf_dir)), _Q, P1), lambda batch, i: batch.write.mode("append").parquet(out), "state")
+    last = spark.read.parquet(out).groupBy("u").agg(F.max(F.struct("n", "vec")).alias("x"))
+    return last.select("u", "x.n", F.posexplode("x.vec").alias("pos", "value")).withColumn("value", F.round("value", 6))
+
+
+@query("SELECT event_id, coalesce(ts < (SELECT max(b.ts) FROM events b WHERE b.event_id % 3 < a.event_id % 3) - INTERVAL 6 HOUR, false) AS late FROM events a")
+def stream_late_rows(spark, sf_dir):
+    """Events that arrive in three files dealt by number: which of them come too late for a watermark of six hours; none is lost."""
+    from blockmf.session import scratch_path
+
+    path, folder = scratch_path(spark, "late-files"), scratch_path(spark, "late")
+    events = spark.read.parquet(f"{sf_dir}/events.parquet")
+    for part in range(3):
+        events.where(F.col("event_id") % 3 == part).coalesce(1).write.mode("append").parquet(path)
+    on_time, late = s.split_late(s.event_stream(spark, path), "6 hours", folder)
+    return on_time.select("event_id", F.lit(False).alias("late")).unionByName(late.select("event_id", F.lit(True).alias("late")))

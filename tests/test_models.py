@@ -182,3 +182,82 @@ def test_late_rows_are_dropped_and_a_stream_goes_on(spark):
     assert go() == {("2024-01-01 00:00:00", 1)}
     make([(3, "2024-01-01 00:20:00", 1, "a", 1.0, None), (4, "2024-01-01 06:00:00", 1, "a", 1.0, None)])
     assert go() == {("2024-01-01 00:00:00", 1), ("2024-01-01 03:00:00", 1)}  # the late row is not counted; the run went on from its state
+
+
+def test_rounds_never_shuffle_ratings(hours):
+    """The plan of a pass: one exchange per round, of factors with their visit; ratings are only read by the lanes that work on them."""
+    from blockmf.operators.executor import pin_ratings, run_rounds, write_state
+    from blockmf.operators.train import initial_state, plan
+
+    p = plan(hours, "hybrid_full", 2, 1, speeds(1, 4), 1)
+    pinned = pin_ratings(p.assigned)
+    state, _ = write_state(initial_state(hours, p, P, 0))
+    after, kept = run_rounds(pinned, state, p.passes[0], p.rounds[0], P)
+    assert len(kept) <= max(p.rounds[0]) + 1
+    for frame in kept:
+        text = frame._jdf.queryExecution().withCachedData().toString() + frame._jdf.queryExecution().analyzed().toString()
+        assert "row_key" not in text and pinned.path.rsplit("/", 1)[-1] not in text
+    plan_text = after._jdf.queryExecution().executedPlan().toString()
+    assert "row_key" not in plan_text and after.count() == state.count()
+    for frame in kept:
+        frame.unpersist()
+
+
+def test_blocks_are_read_in_order_and_in_steps(spark, hours):
+    from blockmf.sources.blocks import in_batches, lay_out, read_blocks
+
+    rows = hours.selectExpr("u", "v", "r", "u % 3 as row_key", "0 as bj", "v * 7 % 5 as o")
+    layout = lay_out(rows)
+    want = sorted((x.o, x.u, x.v) for x in rows.where("row_key != 1").collect())
+    got = [(u, v) for part in in_batches(read_blocks(layout.path, (0, 2), 0, 50), 7) for u, v in zip(part[0].tolist(), part[1].tolist(), strict=True)]
+    assert got == [(u, v) for _, u, v in want]
+    sizes = [len(p[0]) for p in in_batches(read_blocks(layout.path, (1,), 0, 10), 7)]
+    assert sum(sizes) == rows.where("row_key = 1").count() and all(s % 7 == 0 for s in sizes[:-1])
+    assert list(read_blocks(layout.path, (9,), 0)) == []
+
+
+def test_start_vectors_differ_and_orders_hold_for_any_id(spark):
+    ids = np.array([0, 1, 10007, 20014, 2147483647, 2147483648, 10**12, 2**53])
+    m = init_vector("p", ids, 8, 1, 1.0)
+    assert len({tuple(x) for x in m.tolist()}) == len(ids) and (m >= 0).all() and (m < 1).all()
+    r = spark.createDataFrame([(int(i), 1, 1.0) for i in ids], "u long, v long, r double")
+    got = {x.id: x.vec for x in init_factors(r, 8).where("side = 'p'").collect()}
+    assert all(got[int(i)] == x for i, x in zip(ids, m.tolist(), strict=True))
+    far = spark.createDataFrame([(u, v) for u in (5, 4101, 10**7) for v in (5, 4101, 8197)], "u long, v long").selectExpr("u", "v", f"{order_expr('conflict_free', 1)} as o").collect()
+    for x in far:
+        assert not any(x.o == y.o and (x.u == y.u) != (x.v == y.v) for y in far)
+
+
+def test_online_run_goes_on_after_a_restart(spark):
+    """A run that stops after two of four files and is started again ends with the model of one run; a batch that is run again replaces its version."""
+    from blockmf.streaming import online as s
+
+    events = spark.read.parquet("/root/testdata/sf0.001/events.parquet").where("event_id < 200")
+    f = init_factors(events.selectExpr("user_id as u", "cast(hour(ts) as long) as v", "value as r"), 4)
+    paths, folder = [scratch_path(spark, x) for x in ("all", "some")], scratch_path(spark, "online")
+    part = lambda i, path: events.where(f"event_id div 50 = {i}").coalesce(1).write.mode("append").parquet(path)
+    for i in range(4):
+        part(i, paths[0])
+    whole = s.online_sgd(s.as_ratings(s.event_stream(spark, paths[0])), f, P)
+    for i in range(2):
+        part(i, paths[1])
+    assert len(s.online_sgd(s.as_ratings(s.event_stream(spark, paths[1])), f, P, folder=folder)) == 3
+    for i in range(2, 4):
+        part(i, paths[1])
+    again = s.online_sgd(s.as_ratings(s.event_stream(spark, paths[1])), f, P, folder=folder)
+    assert len(again) == len(whole) == 5
+    assert sorted(again[-1].collect()) == sorted(whole[-1].collect()) and sorted(again[2].collect()) == sorted(whole[2].collect())
+
+
+def test_state_of_users_expires(spark):
+    from blockmf.streaming import online as s
+
+    path, out = scratch_path(spark, "ttl"), scratch_path(spark, "ttl-out")
+    make = lambda rows: spark.createDataFrame(rows, "event_id long, t string, user_id long, event_type string, value double, props string").selectExpr("event_id", "cast(t as timestamp_ntz) ts", "user_id", "event_type", "value", "props").coalesce(1).write.mode("append").parquet(path)
+    for k, (user, t) in enumerate([(1, "2024-01-01 00:00:00"), (2, "2024-01-01 05:00:00"), (2, "2024-01-01 05:10:00"), (2, "2024-01-01 05:20:00")]):
+        make([(k, t, user, "a", 20.0, None)])
+    q = {h: [0.5] * 4 for h in range(24)}
+    s.into_batches(s.per_user_state(s.as_ratings(s.event_stream(spark, path)), q, P, ttl="1 hour"), lambda b, i: b.withColumn("batch", F.lit(i)).write.mode("append").parquet(out), "ttl-state")
+    rows = spark.read.parquet(out).orderBy("batch").collect()
+    assert [r.n for r in rows if r.u == 2] == [1, 2, 3]
+    assert [r.n for r in rows if r.u == 1] == [1, 0]  # forgotten once the watermark is an hour past its last rating

@@ -7,7 +7,7 @@ import pytest
 from hypothesis import given, settings
 from hypothesis import strategies as st
 
-from blockmf.operators.train import history_share, virtual_lanes
+from blockmf.operators.train import NARROW_RATE, WIDE_RATES, history_share, published_lanes, resolved, share
 from blockmf.plans import balance as bal
 from blockmf.plans import costmodel as cm
 from blockmf.plans import grid as g
@@ -138,5 +138,51 @@ def test_combine_and_balance():
 
 
 def test_wider_lanes_are_faster_and_need_larger_blocks():
-    narrow, wide = virtual_lanes(32), virtual_lanes(512)
+    narrow, wide = published_lanes(32), published_lanes(512)
     assert wide("wide", 10**6) < narrow("wide", 10**6) and wide("narrow", 1000) == narrow("narrow", 1000)
+    for width, rate in WIDE_RATES.items():
+        assert 1e8 / published_lanes(width)("wide", 1e8) == pytest.approx(rate)
+    assert published_lanes(128, 50)("wide", 10**4) == published_lanes(128)("wide", 5 * 10**5)
+    assert published_lanes(128)("narrow", 1e6) == pytest.approx(1e6 / NARROW_RATE)
+    times = [published_lanes(128)("wide", 2**i) for i in range(30)]
+    assert times == sorted(times)
+
+
+def test_blocks_fit_their_budget(spark):
+    r = g.placed(spark.range(20_000).selectExpr("id % 1000 as u", "(id * 7) % 1999 as v", "1.0D as r"), 0)
+    for steal in (True, False):
+        shape, rows, cols = g.region_grid(r, 0.4, 3, 1, steal, budget=200)
+        a = g.assign_region_blocks(r, shape, rows, cols)
+        mean = {x.region: x.m for x in a.groupBy("region", "bi", "bj").count().groupBy("region").agg({"count": "avg"}).withColumnRenamed("avg(count)", "m").collect()}
+        assert all(m <= 210 for m in mean.values()) and len(mean) == 2
+        small, _, _ = g.region_grid(r, 0.4, 3, 1, steal, budget=10**9)
+        assert small == g.final_grid(3, 1, steal)
+    assert g.finer_for(10**6, 100, 10**9) == 1 and g.finer_for(10**6, 100, 100) == 10
+
+
+def test_more_wide_rows_than_wide_lanes():
+    f = g.final_grid(3, 2, True, 2)
+    wide = f.wide_rows * f.sub
+    groups = tuple(tuple(range(i, i + f.sub)) for i in range(0, wide, f.sub))
+    nnz = even(wide + f.narrow_rows, f.cols)
+    for name, steal in (("static", "none"), ("static+steal", "auto")):
+        policy = resolved(Policy(name, steal, lookahead=True), nnz, lanes_of(3, 2), speeds(1, 5), groups)
+        v = simulate(nnz, lanes_of(3, 2), speeds(1, 5), policy, 1, groups)
+        assert sorted((r, x.col) for x in v for r in x.rows) == sorted(nnz)
+
+
+def test_share_sees_saturation_block_by_block():
+    cost = published_lanes(128)
+    own, whole, line = share("hybrid_model", cost, 10**6, 16, 1), share("hybrid_model", cost, 10**6, 16, 1, evaluate="whole"), share("hybrid_linear", cost, 10**6, 16, 1)
+    assert own < whole and own < line  # small blocks do not fill a wide lane
+
+
+def test_offline_model_on_the_data(spark):
+    from blockmf.operators.params import MFParams
+    from blockmf.sources.tables import rating_view
+
+    r = rating_view(spark, "/root/testdata/sf0.001", "cust_part")
+    fit = cm.estimate_costs(r, MFParams(k=8), sizes=(256, 512, 1024, 2048, 4096), repeats=2)
+    assert {(x.kind, x.stage) for x in fit.collect()} == {("narrow", "kernel"), ("wide", "kernel"), ("wide", "to"), ("wide", "from")}
+    cost = cm.cost_of(fit)
+    assert 0 < cost("wide", 1000) <= cost("wide", 100_000) and 0 <= share("hybrid_full", cost, 10**6, 4, 1) <= 1

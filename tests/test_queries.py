@@ -12,8 +12,6 @@ from blockmf.queries import all_queries, all_sql
 from blockmf.sources.tables import TABLES
 
 SF = "/root/testdata/sf0.001"
-#: Run at the larger scales by the driver; left out here for time.
-SLOW = ("w4_", "w5_", "w6_", "w7_", "w8_cost", "w9_", "sgd_full_trace")
 
 
 @pytest.fixture(scope="module")
@@ -34,7 +32,7 @@ def rows(frame: pd.DataFrame) -> list:
     return sorted(tuple(plain(v) for v in r) for r in frame[cols].astype(object).values.tolist())
 
 
-@pytest.mark.parametrize("name", sorted(k for k in all_sql() if not k.startswith(SLOW)))
+@pytest.mark.parametrize("name", sorted(k for k in all_sql()))
 def test_query_equals_sql(spark, duck, name):
     got, want = all_queries()[name](spark, SF).toPandas(), duck.sql(all_sql()[name]).df()
     assert sorted(got.columns) == sorted(want.columns)
@@ -60,6 +58,19 @@ def test_online_steps_over_all_events_are_serial(spark):
     assert got == pytest.approx({(*k, j): x for k, m in vec.items() for j, x in enumerate(m)}, abs=2e-6)
 
 
+def test_workloads_report_what_the_schedules_say(spark):
+    """The hybrid is ahead of either kind alone, wide lanes gain with their width, narrow lanes with their number; update counts are more even in two regions."""
+    q = all_queries()
+    gains = {r.setting: r for r in q["w4_gains"](spark, SF).collect()}
+    assert sorted(gains) == [32, 64, 128, 256, 512] and gains[512].over_narrow > gains[32].over_narrow and gains[512].over_wide < gains[32].over_wide
+    assert all(g.over_narrow > 1 for g in gains.values())
+    skew = {r.algo: r for r in q["w7_grid_skew"](spark, SF).collect()}
+    assert skew["hybrid_full"].cv < skew["hybrid_uniform"].cv
+    shares = {(r.stands_for, r.algo): r for r in q["w8_cost_models"](spark, SF).collect()}
+    assert len(shares) == 8 and shares["DS1", "hybrid_model"].wide_share < shares["DS1", "hybrid_linear"].wide_share
+    assert all(r.seconds_20 > 0 for r in shares.values())
+
+
 def test_entry_and_registry(spark):
     sys.path.insert(0, str(Path(__file__).resolve().parent.parent))
     import __spark_entry__ as e
