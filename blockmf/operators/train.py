@@ -83,7 +83,7 @@ def block_counts(assigned: DataFrame) -> dict[tuple[int, int], int]:
     return {(r["row_key"], r["bj"]): r["count"] for r in assigned.groupBy("row_key", "bj").count().collect()}
 
 
-def plan(ratings: DataFrame, algo: str = "hybrid_full", n: int = 3, w: int = 1, cost: Cost | DataFrame | None = None, epochs: int = 2, seed: int = 0, tie: str = "hash", steal: str = "auto", by: str = "nnz", grid: tuple[int, int] | None = None, alpha: float | None = None, lookahead: bool = True, weights: str = "nnz", block_ratings: int = 1 << 24, search: list[tuple[int, int]] | None = None) -> Plan:
+def plan(ratings: DataFrame, algo: str = "hybrid_full", n: int = 3, w: int = 1, cost: Cost | DataFrame | None = None, epochs: int = 2, seed: int = 0, tie: str = "hash", steal: str = "auto", by: str = "nnz", grid: tuple[int, int] | None = None, alpha: float | None = None, lookahead: bool = True, weights: str = "nnz", block_ratings: int = 1 << 24, search: list[tuple[int, int]] | None = None, counts: g.Counts | None = None) -> Plan:
     """A schedule for all passes. block_ratings: most ratings of a mean block; the grid gets finer until that holds, whatever the lanes need.
     weights: the clock charges a block by its ratings ('nnz'), or all blocks the same ('equal'), so that the schedule does not depend on the data.
     cost: a function, or a table of fits as estimate_costs() makes it. lookahead: wide lanes reserve the column of their next block."""
@@ -94,24 +94,25 @@ def plan(ratings: DataFrame, algo: str = "hybrid_full", n: int = 3, w: int = 1,
     elif algo == "wide_only":
         n = 0
     lanes = lanes_of(n, w)
+    counts = counts or g.id_counts(ratings)
+    total = counts[0].agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
     if algo == "wide_only" and grid is None:  # the numbers of rows and columns are searched, the least makespan of a pass is kept
-        tries = {s: plan(ratings.select("u", "v", "r"), algo, 0, w, cost, 1, seed, tie, steal, by, s, None, lookahead, weights, block_ratings).makespan for s in search or [(w + 1, w), (2 * w + 1, 2 * w), (4 * w + 1, 4 * w)]}
+        tries = {s: plan(ratings.select("u", "v", "r"), algo, 0, w, cost, 1, seed, tie, steal, by, s, None, lookahead, weights, block_ratings, None, counts).makespan for s in search or [(w + 1, w), (2 * w + 1, 2 * w), (4 * w + 1, 4 * w)]}
         grid = min(tries, key=tries.get)
     policy = policy_of(algo, steal, tie, seed or 0, lookahead)
     if algo in UNIFORM:
         r, c = grid or ((n + w, n + w) if algo == "strata" else g.min_grid(n, w))
-        finer = g.finer_for(ratings.count(), r * c, block_ratings)
+        finer = g.finer_for(total, r * c, block_ratings)
         r, c = r * finer, c * finer
-        rows, cols = g.uniform_grid(ratings, r, c, by)
+        rows, cols = g.uniform_grid(ratings, r, c, by, counts)
         assigned = g.assign_blocks(ratings, rows, cols).withColumn("row_key", F.col("bi"))
         groups: tuple = ()
         alpha = None
     else:
         steals = algo in ("hybrid_full", "history")
-        total = ratings.count()
         if alpha is None:
             alpha = share(algo, cost, total, n, w)
-        shape, rows, cols = g.region_grid(ratings, alpha, n, w, steals, by, block_ratings)
+        shape, rows, cols = g.region_grid(ratings, alpha, n, w, steals, by, block_ratings, counts)
         assigned = g.assign_region_blocks(ratings, shape, rows, cols)
         n_wide = sum(s.region == "wide" for s in rows)
         groups = tuple(tuple(range(i, i + shape.sub)) for i in range(0, n_wide, shape.sub))

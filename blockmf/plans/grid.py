@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from blockmf.functions.ids import mixed, prefix_sum
+from blockmf.session import cut
 
 
 def min_grid(n: int, w: int, rule: str = "refined") -> tuple[int, int]:
@@ -96,12 +97,20 @@ def placed(ratings: DataFrame, seed: int | None) -> DataFrame:
     return ratings.withColumn("pu", F.expr(mixed("u", seed)).cast("long")).withColumn("pv", F.expr(mixed("v", seed + 1)).cast("long"))
 
 
-def uniform_grid(ratings: DataFrame, rows: int, cols: int, by: str = "ids") -> tuple[list[Stripe], list[Stripe]]:
+Counts = tuple[DataFrame, DataFrame]
+
+
+def id_counts(ratings: DataFrame) -> Counts:
+    """(pu, n) and (pv, n): ratings per place of a row and of a column. Written once; all that a grid needs to know of the ratings is in them."""
+    return tuple(cut(ratings.groupBy(c).agg(F.count(F.lit(1)).alias("n")), "counts") for c in ("pu", "pv"))
+
+
+def uniform_grid(ratings: DataFrame, rows: int, cols: int, by: str = "ids", counts: Counts | None = None) -> tuple[list[Stripe], list[Stripe]]:
     """Row and column stripes over places. by: 'ids' equal ranges, 'nnz' equal numbers of ratings."""
+    counts = counts or id_counts(ratings)
     if by == "nnz":
-        return tuple(balanced_stripes(ratings.groupBy(c).agg(F.count(F.lit(1)).alias("n")), a, c, k) for a, c, k in (("row", "pu", rows), ("col", "pv", cols)))
-    top = ratings.agg(F.min("pu"), F.max("pu"), F.min("pv"), F.max("pv")).first()
-    a, b, c, d = (x or 0 for x in top)
+        return tuple(balanced_stripes(x, a, c, k) for x, a, c, k in zip(counts, ("row", "col"), ("pu", "pv"), (rows, cols), strict=True))
+    a, b, c, d = (x or 0 for i, p in enumerate(("pu", "pv")) for x in counts[i].agg(F.min(p), F.max(p)).first())
     return even_stripes("row", b - a + 1, rows, base=a), even_stripes("col", d - c + 1, cols, base=c)
 
 
@@ -123,10 +132,10 @@ def conflict_pairs(blocks: DataFrame) -> DataFrame:
     return rows.unionByName(cols)
 
 
-def split_regions(ratings: DataFrame, alpha: float) -> tuple[int, int, int]:
+def split_regions(ratings: DataFrame, alpha: float, counts: Counts | None = None) -> tuple[int, int, int]:
     """Place that parts wide rows (below) from narrow rows, so that wide rows hold at most a share alpha of the ratings: (border, wide ratings, all).
     Row counts and their prefix sum are tables; the driver gets one row."""
-    counts = ratings.groupBy("pu").agg(F.count(F.lit(1)).alias("n"))
+    counts, _ = counts or id_counts(ratings)
     cum = prefix_sum(counts, ["pu"], F.col("n"), "cum")
     total = counts.agg(F.sum("n")).first()[0] or 0
     got = cum.where(F.col("cum") <= alpha * total).agg(F.max("pu"), F.max("cum")).first()
@@ -134,17 +143,17 @@ def split_regions(ratings: DataFrame, alpha: float) -> tuple[int, int, int]:
     return border, got[1] or 0, total
 
 
-def region_grid(ratings: DataFrame, alpha: float, n: int, w: int, steal: bool = True, by: str = "nnz", budget: int | None = None) -> tuple[FinalGrid, list[Stripe], list[Stripe]]:
+def region_grid(ratings: DataFrame, alpha: float, n: int, w: int, steal: bool = True, by: str = "nnz", budget: int | None = None, counts: Counts | None = None) -> tuple[FinalGrid, list[Stripe], list[Stripe]]:
     """Final division: (grid, row stripes, column stripes). Row stripes are numbered through: wide sub-rows first (wide row * sub + sub-row), then narrow rows."""
     grid = final_grid(n, w, steal)
-    border, wide, total = split_regions(ratings, alpha)
+    counts = counts or id_counts(ratings)
+    border, wide, total = split_regions(ratings, alpha, counts)
     if budget:  # a wide block is a whole wide row in a column
         finer = max(finer_for(wide, grid.cols * max(1, grid.wide_rows), budget), finer_for(total - wide, grid.cols * max(1, grid.narrow_rows), budget))
         grid = final_grid(n, w, steal, finer)
-    counts = ratings.groupBy("pu").agg(F.count(F.lit(1)).alias("n"))
     rows: list[Stripe] = []
     for region, cond, k in (("wide", F.col("pu") < border, grid.wide_rows * grid.sub), ("narrow", F.col("pu") >= border, grid.narrow_rows)):
-        part = counts.where(cond)
+        part = counts[0].where(cond)
         if not k or part.isEmpty():
             continue
         if by == "nnz":
@@ -154,9 +163,9 @@ def region_grid(ratings: DataFrame, alpha: float, n: int, w: int, steal: bool =
             found = even_stripes("row", hi - lo + 1, k, region, lo)
         rows += found
     if by == "nnz":
-        cols = balanced_stripes(ratings.groupBy("pv").agg(F.count(F.lit(1)).alias("n")), "col", "pv", grid.cols)
+        cols = balanced_stripes(counts[1], "col", "pv", grid.cols)
     else:
-        lo, hi = ratings.agg(F.min("pv"), F.max("pv")).first()
+        lo, hi = counts[1].agg(F.min("pv"), F.max("pv")).first()
         cols = even_stripes("col", hi - lo + 1, grid.cols, base=lo)
     return grid, rows, cols
 

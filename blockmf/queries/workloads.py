@@ -10,6 +10,7 @@ from blockmf.operators import measures
 from blockmf.operators.params import MFParams
 from blockmf.operators.train import DS3_RATINGS, plan, published_lanes, share, trace_frame, train
 from blockmf.plans import costmodel as cm
+from blockmf.plans.grid import id_counts, placed
 from blockmf.plans.scheduler import makespan, schedule_frame
 from blockmf.session import cut
 from blockmf.sources.tables import hash_split, rating_view
@@ -78,18 +79,22 @@ def cost_probe_to_share(spark, sf_dir):
 _THREE = ("narrow_only", "wide_only", "hybrid_full")
 
 
+@lru_cache(maxsize=32)
 def _plans(spark, sf_dir, view, settings, algos, epochs=1):
     """(algo, setting, seconds of a pass of the data set that the view stands for, share of wide lanes in percent): on the clock of the published machine."""
     from blockmf.queries.measures import TRAINING
 
-    r = rating_view(spark, sf_dir, view).persist()
+    r = cut(rating_view(spark, sf_dir, view), "view")
+    counts = id_counts(placed(r, 0))
     scale = TRAINING[STANDS_FOR[view]] / r.count()
-    rows = []
+    rows, known = [], {}
     for setting, n, width in settings:
         for algo in algos:
-            p = plan(r, algo, n, 1, published_lanes(width, scale), epochs)
-            rows.append((view, algo, setting, p.makespan / epochs, None if p.alpha is None else p.alpha * 100))
-    r.unpersist()
+            key = (algo, n if algo != "wide_only" else 0, width if algo != "narrow_only" else 0)
+            if key not in known:
+                p = plan(r, algo, n, 1, published_lanes(width, scale), epochs, counts=counts)
+                known[key] = (p.makespan / epochs, None if p.alpha is None else p.alpha * 100)
+            rows.append((view, algo, setting, *known[key]))
     return rows
 
 
@@ -127,19 +132,19 @@ def _to_target(spark, sf_dir, settings):
 @query()
 def w4_vary_width(spark, sf_dir):
     """16 narrow lanes, width of the wide lane from 32 to 512: seconds of a pass and to the target error, two views."""
-    return _to_target(spark, sf_dir, [(w, 16, w) for w in WIDTHS])
+    return _to_target(spark, sf_dir, tuple((w, 16, w) for w in WIDTHS))
 
 
 @query()
 def w5_vary_lanes(spark, sf_dir):
     """Width 128, 4 to 16 narrow lanes: seconds of a pass and to the target error, two views."""
-    return _to_target(spark, sf_dir, [(n, n, 128) for n in LANES])
+    return _to_target(spark, sf_dir, tuple((n, n, 128) for n in LANES))
 
 
 @query()
 def w4_gains(spark, sf_dir):
     """Where the hybrid wins and where it loses, in pass time: gain over either kind alone (below 1: it loses) for all widths, 16 narrow lanes."""
-    rows = _plans(spark, sf_dir, "cust_part", [(w, 16, w) for w in WIDTHS], _THREE)
+    rows = _plans(spark, sf_dir, "cust_part", tuple((w, 16, w) for w in WIDTHS), _THREE)
     p = spark.createDataFrame(rows, _PASS).groupBy("setting").pivot("algo", list(_THREE)).agg(F.first("pass_s"))
     return p.select("setting", F.round(F.col("narrow_only") / F.col("hybrid_full"), 3).alias("over_narrow"), F.round(F.col("wide_only") / F.col("hybrid_full"), 3).alias("over_wide"))
 
@@ -170,7 +175,7 @@ def w7_grid_skew(spark, sf_dir):
 
 def _twenty(spark, sf_dir, algos):
     """20 passes, each scheduled with its own seed, on all four views."""
-    rows = [x for view in STANDS_FOR for x in _plans(spark, sf_dir, view, [(20, 16, 128)], algos, 20)]
+    rows = [x for view in STANDS_FOR for x in _plans(spark, sf_dir, view, ((20, 16, 128),), algos, 20)]
     data = spark.createDataFrame(list(STANDS_FOR.items()), "view string, stands_for string")
     return spark.createDataFrame(rows, _PASS).join(data, "view")
 
