@@ -32,8 +32,17 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     hashed = rows.withColumn("h", hash_of(F.col("norm")))
     groups = hashed.groupBy("h").agg(pick("id").alias("keep_id"), F.count(F.lit(1)).alias("group_size"), F.min("norm").alias("lo"), F.max("norm").alias("hi"))
     groups = cut(groups.select("h", "keep_id", "group_size", (F.col("lo") != F.col("hi")).alias("clash")), "exact-groups")
-    prints = hashed.select("id", "h", F.sha2("norm", 256).alias("text_sha256"))
-    found = prints.join(groups.where(~F.col("clash")).drop("clash"), "h")
+    # a group of a thousandth of the rows or more (so there are at most a thousand) meets its rows by broadcast; the others by hash, where the rows that
+    # are served already are spread by their ids
+    total = groups.agg(F.sum("group_size")).first()[0] or 0
+    whole = groups.where(~F.col("clash")).select("h", "keep_id", "group_size")
+    hot = whole.where(F.col("group_size") * 1000 >= total).select("h", F.col("keep_id").alias("hot_id"), F.col("group_size").alias("hot_size"))
+    prints = hashed.select("id", "h", F.sha2("norm", 256).alias("text_sha256")).join(F.broadcast(hot), "h", "left")
+    served = F.col("hot_size").isNotNull()
+    spread = F.concat("h", F.when(served, F.coalesce(F.col("id").cast("string"), F.lit("-")).cast("binary")).otherwise(F.lit(b"")))
+    cold = whole.where(F.col("group_size") * 1000 < total).withColumnRenamed("h", "key")
+    met = prints.withColumn("key", spread).join(cold, "key", "left").where(served | F.col("group_size").isNotNull())
+    found = met.select("id", "h", "text_sha256", F.when(served, F.col("hot_id")).otherwise(F.col("keep_id")).alias("keep_id"), F.coalesce("hot_size", "group_size").alias("group_size"))
     if not groups.where("clash").isEmpty():
         bad = groups.where("clash").select("h")
         both = hashed.join(bad, "h", "left_semi")
