@@ -349,3 +349,48 @@ def test_pipeline_stages_on_edges(spark, sf):
             out.count()
             if name != "packing":
                 assert out.columns == docs.columns
+
+
+def test_pipeline_stages_keep_what_brute_force_keeps(spark, sf):
+    """Each stage on all that its predecessor kept, against plain loops over the texts."""
+    import corpus_pipeline as c
+    from blockmf.llm import decontaminate, quality
+
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    stage = dict(c.STAGES)
+    kept = stage["quality"](spark, docs, sf).collect()
+    model = quality.train(docs, spark.read.parquet(f"{sf}/labels.parquet"))
+    assert sorted(r.doc_id for r in kept) == sorted(r.doc_id for r in quality.scored(docs, model).where("score >= 0.7").collect())
+    extra = [(10_001, kept[0].text.upper().lower(), "en", "s", 1), (10_002, kept[0].text.swapcase(), "en", "s", 1), (None, kept[0].text, None, None, None), (None, "alone", None, None, None), (None, "ALONE", None, None, None)]
+    texts = [tuple(r) for r in kept] + extra + [(20_000 + i, " ".join([*r.text.split()[:-1], "changed"]), "en", "s", 1) for i, r in enumerate(kept[:12])]
+    made = spark.createDataFrame(texts, docs.schema)
+    lower = lambda t: re.sub("[A-Z]", lambda m: m[0].lower(), t or "")
+    groups = {}
+    for d, t, *_ in texts:
+        groups.setdefault(lower(t), []).append(d)
+    want = sorted((max((d for d in ids if d is not None), default=-1)) for ids in groups.values())
+    exact = stage["exact_dedup"](spark, made, sf).persist()
+    assert sorted(-1 if r.doc_id is None else r.doc_id for r in exact.collect()) == want
+    rows = [(r.doc_id, r.text) for r in exact.collect() if r.doc_id is not None]
+    w = plain_weights([t for _, t in rows])
+    parent = list(range(len(rows)))
+
+    def root(x):
+        while parent[x] != x:
+            x = parent[x]
+        return x
+
+    for i in range(len(rows)):
+        for j in range(i):
+            if not w[i].keys().isdisjoint(w[j]) and plain_jaccard(w[i], w[j]) >= 0.8:
+                parent[root(i)] = root(j)
+    least = {}
+    for i, (d, _) in enumerate(rows):
+        least[root(i)] = min(d, least.get(root(i), d))
+    near = stage["near_dedup"](spark, exact, sf).persist()
+    assert sorted(-1 if r.doc_id is None else r.doc_id for r in near.collect()) == sorted([*least.values(), -1])
+    items = [decontaminate.normalise(r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
+    clean = [r.doc_id for r in near.collect() if not any(decontaminate.myers(b, decontaminate.normalise(r.text), len(b) // 20) is not None for b in items)]
+    got = stage["decontaminate"](spark, near, sf)
+    assert sorted(map(str, clean)) == sorted(str(r.doc_id) for r in got.collect())
+    assert stage["packing"](spark, got, sf).select("doc_id").distinct().count() == len(set(clean))
