@@ -10,10 +10,11 @@ from __future__ import annotations
 
 from collections import defaultdict
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from blockmf.operators.kernels import run_block, vectors
@@ -66,21 +67,16 @@ def _lane(params: MFParams, path: str, todo: dict[int, tuple[tuple[int, ...], in
     return run
 
 
-def _lookup(keys: dict[int, int], col: Column) -> Column:
-    """Constant map column: stripe -> visit; null where no visit uses the stripe."""
-    if not keys:
-        return F.lit(None).cast("int")
-    pairs = [F.lit(int(x)) for kv in sorted(keys.items()) for x in kv]
-    return F.element_at(F.create_map(*pairs), col)
+def _visit(use: dict[tuple[str, int], int]) -> str:
+    """SQL text of the visit that uses a row's (side, stripe): constant maps."""
+    by_side = {s: ", ".join(f"{i}, {x}" for (side, i), x in sorted(use.items()) if side == s) for s in "pq"}
+    return f"if(side = 'p', element_at(map({by_side['p']}), stripe), element_at(map({by_side['q']}), stripe))"
 
 
-def _stripes(keys: set[tuple[str, int]]) -> Column:
-    """Condition: the row is of one of the (side, stripe). In terms of partition columns, so that others are not read."""
-    found = F.lit(False)
-    for s in "pq":
-        if mine := sorted(i for side, i in keys if side == s):
-            found = found | ((F.col("side") == s) & F.col("stripe").isin(mine))
-    return found
+def _stripes(keys: set[tuple[str, int]]) -> str:
+    """SQL text: the row is of one of the (side, stripe). In terms of partition columns, so that others are not read."""
+    by_side = {s: ", ".join(str(i) for side, i in sorted(keys) if side == s) for s in "pq"}
+    return " OR ".join(f"(side = '{s}' AND stripe IN ({x}))" for s, x in by_side.items() if x) or "false"
 
 
 def run_rounds(pinned: Layout, state: DataFrame, visits: list[Visit], rounds: list[int], params: MFParams) -> tuple[DataFrame, list[DataFrame]]:
@@ -97,16 +93,12 @@ def run_rounds(pinned: Layout, state: DataFrame, visits: list[Visit], rounds: li
         for key in use:
             sources[newest.get(key, 0)].add(key)
         parts = [frames[n].where(_stripes(keys)) for n, keys in sorted(sources.items())]
-        used = parts[0]
-        for part in parts[1:]:
-            used = used.unionByName(part)
-        visit = F.when(F.col("side") == "p", _lookup({i: x for (s, i), x in use.items() if s == "p"}, F.col("stripe"))).otherwise(_lookup({i: x for (s, i), x in use.items() if s == "q"}, F.col("stripe")))
-        dealt = used.withColumn("visit", visit.cast("int")).repartitionById(len(now), F.col("visit"))
+        dealt = reduce(DataFrame.union, parts).selectExpr("*", f"{_visit(use)} AS visit").repartitionById(len(now), "visit")
         todo = {i: (v.rows, v.col, v.kind) for i, v in enumerate(now)}
         frames.append(dealt.mapInArrow(_lane(params, pinned.path, todo), STATE).persist())
         newest |= dict.fromkeys(use, len(frames) - 1)
-    old = frames[0].where(~_stripes(set(newest))) if newest else frames[0]
-    for n, frame in enumerate(frames[1:], 1):
-        if mine := {key for key, at in newest.items() if at == n}:
-            old = old.unionByName(frame.where(_stripes(mine)))
-    return old, frames[1:]
+    last: dict[int, set] = defaultdict(set)
+    for key, n in newest.items():
+        last[n].add(key)
+    parts = [frames[0].where(f"NOT ({_stripes(set(newest))})"), *(frames[n].where(_stripes(keys)) for n, keys in sorted(last.items()))]
+    return reduce(DataFrame.union, parts), frames[1:]
