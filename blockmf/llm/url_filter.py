@@ -2,7 +2,8 @@
 
 A url is judged by its host and path: the longest rule that fits decides. Urls without a rule take the decision
 of their aliases: pages are nodes (host + path), canonical links, refresh redirects and given redirect pairs are
-edges, and the connected components of that graph spread decisions. Precedence for a url without a rule of its
+edges, and the connected components of that graph spread decisions. Pages whose urls differ only after '?' or '#' are one node
+and share their links, since rules look at host and path alone. Precedence for a url without a rule of its
 own: an alias that a rule allows makes the component allowed; else an alias that a rule blocks makes it blocked;
 else it is allowed.
 
