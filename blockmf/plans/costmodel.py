@@ -79,8 +79,9 @@ def fit_piecewise(probe: DataFrame, curve: str, tol: float = 0.02) -> DataFrame:
         F.count_if(high).alias("n_high"),
         F.min("size").alias("least"),
     )
-    enough = F.col("n_high") >= 2
-    return fit.select("kind", "stage", "tau", F.lit(curve).alias("form"), "a", "b", F.when(enough, F.col("la")).otherwise(F.col("at_tau") / F.col("tau")).alias("line_a"), F.when(enough, F.col("lb")).otherwise(F.lit(0.0)).alias("line_b"), "least")
+    enough, steady = F.col("n_high") >= 2, F.col("a").isNull()  # one point up to tau: no curve, the speed there
+    first = [F.when(steady, F.lit(0.0)).otherwise(F.col("a")).alias("a"), F.when(steady, F.col("tau") / F.col("at_tau")).otherwise(F.col("b")).alias("b")]
+    return fit.select("kind", "stage", "tau", F.lit(curve).alias("form"), *first, F.when(enough, F.col("la")).otherwise(F.col("at_tau") / F.col("tau")).alias("line_a"), F.when(enough, F.col("lb")).otherwise(F.lit(0.0)).alias("line_b"), "least")
 
 
 @dataclass(frozen=True)

@@ -186,3 +186,9 @@ def test_offline_model_on_the_data(spark):
     assert {(x.kind, x.stage) for x in fit.collect()} == {("narrow", "kernel"), ("wide", "kernel"), ("wide", "to"), ("wide", "from")}
     cost = cm.cost_of(fit)
     assert 0 < cost("wide", 1000) <= cost("wide", 100_000) and 0 <= share("hybrid_full", cost, 10**6, 4, 1) <= 1
+
+
+def test_a_threshold_at_the_first_size_gives_a_steady_speed(spark):
+    rows = [("wide", "kernel", 100 * 2**i, 0, 100 * 2**i / 50.0) for i in range(4)]
+    model = cm.models(cm.fit_piecewise(spark.createDataFrame(rows, cm.PROBE), "log"))["wide", "kernel"]
+    assert [model(s) for s in (50, 100, 400, 10**4)] == pytest.approx([1.0, 2.0, 8.0, 200.0])
