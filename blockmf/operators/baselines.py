@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections import Counter
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -71,14 +73,26 @@ def device_classifier(tasks: DataFrame, depth: int = 4):
     return Pipeline(stages=[gather, DecisionTreeClassifier(maxDepth=depth, labelCol="label", seed=1)]).fit(tasks)
 
 
-def simulated_tasks(spark, cost, n: int, w: int, classes: int = 5) -> DataFrame:
-    """Training tasks for the classifier: sizes on a grid, the label is the class of the balanced share under a cost model."""
+def block_tasks(ratings: DataFrame, cost, n: int, w: int, classes: int = 5, halvings: int = 5) -> DataFrame:
+    """Training tasks for the classifier: the blocks of the ratings in grids of 1, 2, 4 .. 2^halvings stripes each way (ids scattered), with the ids of their stripes; the
+    label is the class of the balanced share under a cost model. The driver gets the blocks of the finest grid, the rows of coarser ones are sums of theirs."""
+    from blockmf.functions.ids import PRIME, mixed
     from blockmf.plans.balance import balance
 
+    spark, parts = ratings.sparkSession, 1 << halvings
+    cells = cut(ratings.select("u", "v", *[F.expr(f"cast({mixed(c, i)} * {parts} div {PRIME} as int)").alias(f"b{c}") for i, c in enumerate("uv")]), "cells")
+    blocks = {(r["bu"], r["bv"]): r["count"] for r in cells.groupBy("bu", "bv").count().collect()}
+    ids = {c: {r[f"b{c}"]: r["count"] for r in cells.select(c, f"b{c}").distinct().groupBy(f"b{c}").count().collect()} for c in "uv"}
     rows = []
-    for i in range(4, 25):
-        nnz = 2**i
-        alpha = balance(lambda s: cost("wide", s), lambda s: cost("narrow", s), nnz, n, w)
-        for k in (8, 32, 128):
-            rows.append((int(nnz**0.5) + 1, int(nnz**0.5) + 1, nnz, k, float(min(classes - 1, int(alpha * classes)))))
+    for level in range(halvings + 1):
+        nnz: Counter = Counter()
+        held = {c: Counter() for c in "uv"}
+        for (i, j), count in blocks.items():
+            nnz[i >> level, j >> level] += count
+        for c, stripes in ids.items():
+            for i, count in stripes.items():
+                held[c][i >> level] += count
+        for (i, j), count in sorted(nnz.items()):
+            alpha = balance(lambda s: cost("wide", s), lambda s: cost("narrow", s), count, n, w)
+            rows += [(held["u"][i], held["v"][j], count, k, float(min(classes - 1, int(alpha * classes)))) for k in (8, 32, 128)]
     return spark.createDataFrame(rows, "n_rows long, n_cols long, nnz long, k int, label double")

@@ -7,6 +7,7 @@ import duckdb
 import numpy as np
 import pandas as pd
 import pytest
+from pyspark.errors import AnalysisException
 
 from blockmf.queries import all_queries, all_sql
 from blockmf.sources.tables import TABLES
@@ -39,6 +40,15 @@ def test_query_equals_sql(spark, duck, name):
     assert rows(got) == rows(want)
 
 
+FROM_TABLES = ["base_classifier"]
+
+
+@pytest.mark.parametrize("name", FROM_TABLES)
+def test_query_reads_a_table(spark, name):
+    with pytest.raises(AnalysisException, match="PATH_NOT_FOUND"):
+        all_queries()[name](spark, "/tmp/no-such-tables").collect()
+
+
 def test_online_steps_over_all_events_are_serial(spark):
     """The whole stream against one loop over the events."""
     from blockmf.operators.factors import init_vector
