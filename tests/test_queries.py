@@ -40,7 +40,7 @@ def test_query_equals_sql(spark, duck, name):
     assert rows(got) == rows(want)
 
 
-FROM_TABLES = ["base_classifier", "cost_alpha_edges", "cost_alpha_grid", "cost_alpha_linear", "cost_alpha_methods"]
+FROM_TABLES = ["base_classifier", "cost_alpha_edges", "cost_alpha_grid", "cost_alpha_linear", "cost_alpha_methods", "cost_alpha_saturating"]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
