@@ -40,7 +40,7 @@ def test_query_equals_sql(spark, duck, name):
     assert rows(got) == rows(want)
 
 
-FROM_TABLES = ["base_classifier", "cost_alpha_edges", "cost_alpha_grid", "cost_alpha_linear", "cost_alpha_methods", "cost_alpha_saturating"]
+FROM_TABLES = ["base_classifier", *(f"cost_alpha_{x}" for x in ("edges", "grid", "linear", "methods", "saturating")), *(f"cost_combine_{h}_{d}" for h in ("max", "sum", "max3") for d in ("kernel_bound", "transfer_bound"))]
 
 
 @pytest.mark.parametrize("name", FROM_TABLES)
