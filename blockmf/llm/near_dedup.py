@@ -37,7 +37,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from blockmf.llm.common import cut, text_bytes, text_or_empty
+from blockmf.llm.common import cut, lean, text_bytes, text_or_empty
 from blockmf.llm.components import connected_components
 from blockmf.llm.suffix_dedup import U64, RangeHash, mix, text_buffer
 
@@ -101,7 +101,7 @@ def _distinct(doc: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray, n
     return doc[new], h[new], np.diff(np.concatenate([new, [len(doc)]]))
 
 
-def _cut_batch(data: np.ndarray, ends: np.ndarray, size: int = 2 << 20) -> Iterator[tuple[int, int]]:
+def _cut_batch(data: np.ndarray, ends: np.ndarray, size: int = 1 << 20) -> Iterator[tuple[int, int]]:
     """Document ranges of about `size` bytes."""
     i = 0
     while i < len(ends):
@@ -132,7 +132,7 @@ def _count_df(size: int, slots: int):
         if not len(used):
             yield pa.RecordBatch.from_pydict({"block": [0], "counts": [np.zeros(step, "<i4").tobytes()], "docs": [docs]}, schema=_COUNTS)
 
-    return count
+    return lean(count)
 
 
 _COUNTS = pa.schema([("block", pa.int32()), ("counts", pa.binary()), ("docs", pa.int64())])
@@ -190,7 +190,7 @@ def _count_exactly(size: int, maybe: np.ndarray, keep: int = 1 << 20):
         if n:
             yield flush()
 
-    return count
+    return lean(count)
 
 
 def idf_table(docs: DataFrame, size: int = 5, damping: float = 0.25, rare: float = RARE, text_col: str = "text") -> Idf:
@@ -257,7 +257,7 @@ def _signatures(size: int, samples: int, idf: Idf):
                 sig = pa.FixedSizeListArray.from_arrays(pa.array(code.view(np.int32).ravel()), samples).cast(pa.list_(pa.int32()))
                 yield pa.RecordBatch.from_arrays([b.column(0).slice(i, n), *prints, sig, pa.array(np.diff(ends[i:j], prepend=lo))], ["doc_id", "fp1", "fp2", "sig", "size"])
 
-    return sign
+    return lean(sign)
 
 
 def _weigh(text: str, size: int, idf: Idf) -> tuple[np.ndarray, np.ndarray]:
@@ -285,7 +285,7 @@ def _verify(size: int, idf: Idf):
                 sims.append(weighted_jaccard(last[1], _weigh(tb.as_py(), size, idf)))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(sims, pa.float64())], ["b", "a", "sim"])
 
-    return verify
+    return lean(verify)
 
 
 def _met_reps(members: DataFrame, reps: int) -> DataFrame:
@@ -396,7 +396,7 @@ def _cross(samples: int, rows: int, least: int, verify: tuple | None):
             for lo in range(0, len(a), 1 << 16):
                 yield pa.RecordBatch.from_arrays([pa.array(a[lo : lo + (1 << 16)]), pa.array(b[lo : lo + (1 << 16)])], ["a", "b"])
 
-    return cross
+    return lean(cross)
 
 
 def cross_pairs(buckets: DataFrame, label: DataFrame, samples: int, rows: int, least: int, base: DataFrame | None = None, verify: tuple | None = None) -> DataFrame:

@@ -28,7 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from blockmf.llm.common import cut, text_or_empty
+from blockmf.llm.common import cut, lean, text_or_empty
 from blockmf.llm.tokenize import piece_tokenizer
 
 
@@ -52,7 +52,7 @@ def _pieces(vocab: str, end_id: int, capacity: int):
                         seen[len(x)] += 1
             yield pa.RecordBatch.from_pydict(dict(out), schema=_PIECE) if out else pa.RecordBatch.from_pylist([], schema=_PIECE)
 
-    return make
+    return lean(make)
 
 
 _PIECE = pa.schema([("doc_id", pa.int64()), ("piece", pa.int32()), ("start", pa.int64()), ("length", pa.int64()), ("ids_crc32", pa.int64()), ("part", pa.int32()), ("nth", pa.int64())])
